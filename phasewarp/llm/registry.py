@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
-from phasewarp.llm import exact_dedup, mixing, simhash_golay
+from phasewarp.llm import bpe, exact_dedup, mixing, simhash_golay, token_orc, warc
 
 QUERIES = {
+    "op1_token_orc": token_orc.query,
     "op2_simhash_golay": simhash_golay.query,
     "op3_mixing": mixing.query,
     "op4_exact_dedup": exact_dedup.query,
+    "op5_bpe": bpe.query,
+    "op6_warc": warc.query,
 }
 SQL = {
     "op3_mixing": mixing.SQL,
