@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from phasewarp.llm import bpe, exact_dedup, mixing, simhash_golay, token_orc, warc
+from phasewarp.llm import bpe, exact_dedup, mixing, simhash_golay, token_orc, toxicity, warc
 
 QUERIES = {
     "op1_token_orc": token_orc.query,
@@ -11,6 +11,7 @@ QUERIES = {
     "op4_exact_dedup": exact_dedup.query,
     "op5_bpe": bpe.query,
     "op6_warc": warc.query,
+    "op7_toxicity": toxicity.query,
 }
 SQL = {
     "op3_mixing": mixing.SQL,
