@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from phasewarp.llm import bpe, exact_dedup, mixing, simhash_golay, token_orc, toxicity, warc, weighted_sampling
+from phasewarp.llm import bpe, exact_dedup, line_dedup, mixing, simhash_golay, token_orc, toxicity, warc, weighted_sampling
 
 QUERIES = {
     "op1_token_orc": token_orc.query,
@@ -12,6 +12,7 @@ QUERIES = {
     "op5_bpe": bpe.query,
     "op6_warc": warc.query,
     "op7_toxicity": toxicity.query,
+    "op8_line_dedup": line_dedup.query,
     "op9_weighted_sampling": weighted_sampling.query,
 }
 SQL = {
