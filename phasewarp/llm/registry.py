@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from phasewarp.llm import bpe, exact_dedup, line_dedup, mixing, simhash_golay, token_orc, toxicity, warc, weighted_sampling
+from phasewarp.llm import bpe, exact_dedup, line_dedup, mixing, passage_dedup, simhash_golay, token_orc, toxicity, warc, weighted_sampling
 
 QUERIES = {
     "op1_token_orc": token_orc.query,
@@ -14,6 +14,7 @@ QUERIES = {
     "op7_toxicity": toxicity.query,
     "op8_line_dedup": line_dedup.query,
     "op9_weighted_sampling": weighted_sampling.query,
+    "op10_passage_dedup": passage_dedup.query,
 }
 SQL = {
     "op3_mixing": mixing.SQL,
