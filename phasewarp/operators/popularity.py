@@ -77,12 +77,11 @@ def weights(ranks: DataFrame, totals: DataFrame, compensation: str = "printed")
 
 @dataclass
 class Swp:
-    """Stages of one run; each is lazy, ``kept_words`` and ``graph`` feed several."""
+    """Stages of one run, each lazy; contributive words are those with a rank."""
 
     kept: DataFrame
     kept_words: DataFrame
     links: DataFrame
-    graph: DataFrame
     contributive: DataFrame
     ranks: DataFrame
     weights: DataFrame
@@ -90,7 +89,7 @@ class Swp:
     series: DataFrame
 
 
-def semantic_weight(words: DataFrame, vectors: DataFrame, cfg: SwpConfig = SwpConfig(), strategy: str = "grouped") -> Swp:
+def semantic_weight(words: DataFrame, vectors: DataFrame, cfg: SwpConfig = SwpConfig(), strategy: str = "series") -> Swp:
     """From phase words and word vectors to the normalised series, with every stage on the way."""
     scope = list(cfg.scope)
     ranks_ = cutoff.ranked(frequency.vocabulary(words, scope), scope)
@@ -99,11 +98,12 @@ def semantic_weight(words: DataFrame, vectors: DataFrame, cfg: SwpConfig = SwpCo
     left = cutoff.apply(words, kept, scope)
     both = left.select("event", "medium", "word").distinct()
     links = similarity.edges(both, vectors, ["event", "medium"], cfg.beta, cfg.gamma)
-    graph = similarity.phase_edges(links, left)
-    if strategy == "grouped":
-        tr = wordrank.rank(graph, cfg.theta, cfg.tol, cfg.max_iter, cfg.teleport)
+    if strategy == "series":
+        tr = wordrank.rank_series(links, left, cfg.theta, cfg.tol, cfg.max_iter, cfg.teleport)
     else:
-        tr = wordrank.rank_joined(graph, cfg.theta, cfg.tol, cfg.max_iter, cfg.teleport)
+        graph = similarity.phase_edges(links, left)
+        ranked = wordrank.rank if strategy == "grouped" else wordrank.rank_joined
+        tr = ranked(graph, cfg.theta, cfg.tol, cfg.max_iter, cfg.teleport)
     totals = (left if cfg.total == "kept" else words).groupBy(*KEYS).agg(F.sum("freq").alias("total"))
     w = weights(tr, totals, cfg.compensation)
     pops = word_popularity(left, w)
@@ -111,7 +111,7 @@ def semantic_weight(words: DataFrame, vectors: DataFrame, cfg: SwpConfig = SwpCo
     raw = phase_popularity(pops)
     seen = words.select("event", "medium").distinct()
     series = normalise(phases.densify(seen.join(raw, ["event", "medium"], "left").withColumn("phase", F.coalesce("phase", F.lit(1))), cfg.n_phases))
-    return Swp(kept, left, links, graph, similarity.contributive(graph), tr, w, pops, series.select(*KEYS, "pop", "pop_norm"))
+    return Swp(kept, left, links, tr.select(*KEYS, "word"), tr, w, pops, series.select(*KEYS, "pop", "pop_norm"))
 
 
 def semantic_weight_series(words: DataFrame, vectors: DataFrame, cfg: SwpConfig = SwpConfig()) -> DataFrame:

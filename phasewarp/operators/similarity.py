@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -57,28 +59,51 @@ def rank_vectors(vocab: DataFrame, embeddings: DataFrame, shift: int = 37) -> Da
     )
 
 
+def _unit_rows(vectors: pd.Series) -> np.ndarray:
+    """Vectors scaled to length one as rows; missing or zero ones as zeros."""
+    size = max((len(v) for v in vectors if v is not None), default=1)
+    m = np.zeros((len(vectors), size))
+    for k, v in enumerate(vectors):
+        if v is not None:
+            m[k] = v
+    norm = np.linalg.norm(m, axis=1, keepdims=True)
+    return m / np.where(norm == 0, 1, norm)
+
+
+def _character_rows(words: pd.Series) -> np.ndarray:
+    chars = {c: k for k, c in enumerate(sorted(set("".join(words))))}
+    m = np.zeros((len(words), max(1, len(chars))))
+    for k, w in enumerate(words):
+        for c in w:
+            m[k, chars[c]] += 1
+    return m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
+
+
 def edges(kept: DataFrame, vectors: DataFrame, scope: list[str], beta: float = BETA, gamma: float = GAMMA, only_positive: bool = True) -> DataFrame:
     """``scope, w1, w2, sem, str, sim`` with w1 < w2, once per series, after the cut-off only.
 
-    Norms and character counts are per word, so a pair costs two dot products and one pass over
-    the shorter word's characters.
+    A series has at most ``max_vocab`` words then, so its pairs are three matrix products in one
+    task; blocks of rows leave as they are done.
     """
     words = kept.select(*scope, "word").join(vectors, [c for c in ("event", "word") if c in vectors.columns], "left")
-    words = words.select(
-        *scope, "word", "vec_r", "vec_d",
-        F.sqrt(dot(F.col("vec_r"), F.col("vec_r"))).alias("nr"), F.sqrt(dot(F.col("vec_d"), F.col("vec_d"))).alias("nd"),
-        char_counts(F.col("word")).alias("cc"), _norm(char_counts(F.col("word"))).alias("nc"),
-    )
-    a = words.select(*scope, *[F.col(c).alias(f"{c}_1") for c in words.columns if c not in scope])
-    b = words.select(*scope, *[F.col(c).alias(f"{c}_2") for c in words.columns if c not in scope])
-    cos = lambda v, n: F.coalesce(dot(F.col(f"{v}_1"), F.col(f"{v}_2")) / F.nullif(F.col(f"{n}_1") * F.col(f"{n}_2"), F.lit(0.0)), F.lit(0.0))
-    pairs = a.join(b, scope).filter("word_1 < word_2")
-    scored = pairs.select(
-        *scope, F.col("word_1").alias("w1"), F.col("word_2").alias("w2"),
-        (F.lit(beta) * cos("vec_r", "nr") + F.lit(1 - beta) * cos("vec_d", "nd")).alias("sem"),
-        F.coalesce(_shared(F.col("cc_1"), F.col("word_2")) / F.nullif(F.col("nc_1") * F.col("nc_2"), F.lit(0.0)), F.lit(0.0)).alias("str"),
-    ).withColumn("sim", combine(F.col("sem"), F.col("str"), gamma))
-    return scored.filter("sim > 0") if only_positive else scored
+
+    def run(keys, batches):
+        pdf = pd.concat(list(batches)).sort_values("word", ignore_index=True)
+        r, d, c = _unit_rows(pdf["vec_r"]), _unit_rows(pdf["vec_d"]), _character_rows(pdf["word"])
+        names = pdf["word"].to_numpy(object)
+        for at in range(0, len(pdf), 256):
+            block = slice(at, min(at + 256, len(pdf)))
+            sem, lex = beta * (r[block] @ r.T) + (1 - beta) * (d[block] @ d.T), c[block] @ c.T
+            sim = gamma * sem + (1 - gamma) * lex
+            later = np.arange(block.start, block.stop)[:, None] < np.arange(len(pdf))
+            i, j = np.nonzero(later & (sim > 0) if only_positive else later)
+            yield pd.DataFrame({**{k: pdf[k].iat[0] for k in scope}, "w1": names[at + i], "w2": names[j], "sem": sem[i, j], "str": lex[i, j], "sim": sim[i, j]})
+
+    def grouped(pdf: pd.DataFrame) -> pd.DataFrame:
+        return pd.concat(list(run(None, [pdf])), ignore_index=True)
+
+    fields = ", ".join(f"{k} string" for k in scope)
+    return words.groupBy(*scope).applyInPandas(grouped, f"{fields}, w1 string, w2 string, sem double, str double, sim double")
 
 
 def phase_edges(links: DataFrame, words: DataFrame) -> DataFrame:

@@ -44,6 +44,39 @@ def rank(graph: DataFrame, theta: float = THETA, tol: float = 1e-9, rounds: int
     return joined.groupBy(*KEYS).applyInPandas(run, "event string, medium string, phase int, word string, tr double")
 
 
+def rank_series(links: DataFrame, words: DataFrame, theta: float = THETA, tol: float = 1e-9, rounds: int = 200, teleport: str = "phase") -> DataFrame:
+    """The same scores from the edges of whole series and the words of their phases: one task per
+    series walks its phases, so edges are never repeated per phase."""
+
+    def run(graph: pd.DataFrame, at: pd.DataFrame) -> pd.DataFrame:
+        out, all_words = [], set()
+        names, ends = np.unique(np.concatenate([graph["w1"], graph["w2"]]).astype(object), return_inverse=True) if len(graph) else (np.zeros(0, object), np.zeros(0, int))
+        number = {w: k for k, w in enumerate(names)}
+        a, b, w = ends[: len(graph)], ends[len(graph) :], graph["sim"].to_numpy()
+        phases = []
+        for phase, part in at.groupby("phase"):
+            here = np.zeros(len(names), bool)
+            here[[number[x] for x in part["word"] if x in number]] = True
+            use = here[a] & here[b]
+            if use.any():
+                used, local = np.unique(np.concatenate([a[use], b[use]]), return_inverse=True)
+                phases.append((phase, used, local[: use.sum()], local[use.sum() :], w[use]))
+                all_words.update(used.tolist())
+        for phase, used, x, y, sim in phases:
+            base = len(used) if teleport == "phase" else len(all_words)
+            tr = power_iteration(x, y, sim, len(used), base, theta, tol, rounds)
+            out.append(pd.DataFrame({"event": graph["event"].iat[0], "medium": graph["medium"].iat[0], "phase": np.int32(phase), "word": names[used], "tr": tr}))
+        return pd.concat(out, ignore_index=True) if out else pd.DataFrame({"event": [], "medium": [], "phase": np.zeros(0, np.int32), "word": [], "tr": np.zeros(0)})
+
+    series = ["event", "medium"]
+    return (
+        links.select(*series, "w1", "w2", "sim")
+        .groupBy(*series)
+        .cogroup(words.select(*KEYS, "word").groupBy(*series))
+        .applyInPandas(run, "event string, medium string, phase int, word string, tr double")
+    )
+
+
 def rank_joined(graph: DataFrame, theta: float = THETA, tol: float = 1e-9, rounds: int = 100, teleport: str = "phase", every: int = 5) -> DataFrame:
     """The same by joins and sums for graphs beyond one task; lineage is cut every few rounds by a
     reliable checkpoint and the largest move is the only value that reaches the driver."""

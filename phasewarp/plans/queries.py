@@ -20,7 +20,9 @@ from phasewarp.sources.tables import table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
-ROUNDS = SwpConfig(tol=0.0, max_iter=30)
+#: The published threshold of the figures, and a fixed number of rounds, so that SQL can follow.
+TH = 10.0
+ROUNDS = SwpConfig(th=TH, tol=0.0, max_iter=30)
 SCOPE = ["event", "medium"]
 
 
@@ -218,17 +220,17 @@ def _(spark, d):
 
 def _pairs(spark, d, beta=0.7, gamma=0.02):
     words = p1_words(spark, d)
-    kept = _kept(spark, d, words=frequency.vocabulary(words))
+    kept = _kept(spark, d, TH, words=frequency.vocabulary(words))
     return similarity.edges(kept, vectors_of(spark, d, words), SCOPE, beta, gamma, only_positive=False)
 
 
 for _name, _beta, _col in (("sem_sim", 0.7, "sem"), ("sem_beta0", 0.0, "sem"), ("sem_beta1", 1.0, "sem"), ("str_sim", 0.7, "str"), ("word_sim", 0.7, "sim")):
-    query(_name, s.with_(*s.base(), *s.fitted(), *s.edges(_beta, positive=False)) + f"SELECT event, medium, count(*) AS n_pairs, {s.r(f'sum({_col})', 5)} AS total, {s.r(f'max({_col})')} AS top FROM edges GROUP BY event, medium")(
+    query(_name, s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges(_beta, positive=False)) + f"SELECT event, medium, count(*) AS n_pairs, {s.r(f'sum({_col})', 5)} AS total, {s.r(f'max({_col})')} AS top FROM edges GROUP BY event, medium")(
         lambda spark, d, b=_beta, c=_col: _pairs(spark, d, b).groupBy(*SCOPE).agg(F.count("*").alias("n_pairs"), F.round(F.sum(c), 5).alias("total"), F.round(F.max(c), 6).alias("top"))
     )
 
 
-@query("word_sim_gamma_grid", s.with_(*s.base(), *s.fitted(), *s.edges(positive=False)) + f"""SELECT event, medium, g AS gamma, count(*) FILTER (g * sem + (1 - g) * str > 0) AS n_edges, {s.r('avg(g * sem + (1 - g) * str)')} AS mean_sim
+@query("word_sim_gamma_grid", s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges(positive=False)) + f"""SELECT event, medium, g AS gamma, count(*) FILTER (g * sem + (1 - g) * str > 0) AS n_edges, {s.r('avg(g * sem + (1 - g) * str)')} AS mean_sim
  FROM edges CROSS JOIN (SELECT unnest([0.0::DOUBLE, 0.02, 0.5, 1.0]) AS g) GROUP BY ALL""")
 def _(spark, d):
     g = F.explode(F.array(*[F.lit(v) for v in (0.0, 0.02, 0.5, 1.0)])).alias("gamma")
@@ -242,18 +244,18 @@ def _(spark, d):
     return vectors_of(spark, d, p1_words(spark, d)).select("event", "word", total("vec_r").alias("sum_r"), total("vec_d").alias("sum_d"))
 
 
-@query("contrib_phase", s.with_(*s.base(), *s.fitted(), *s.edges()) + "SELECT event, medium, phase, word FROM contrib")
+@query("contrib_phase", s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges()) + "SELECT event, medium, phase, word FROM contrib")
 def _(spark, d):
     return p1_swp(spark, d).contributive
 
 
-@query("contrib_event", s.with_(*s.base(), *s.fitted(), *s.edges()) + "SELECT DISTINCT event, medium, word FROM contrib")
+@query("contrib_event", s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges()) + "SELECT DISTINCT event, medium, word FROM contrib")
 def _(spark, d):
     return p1_swp(spark, d).contributive.select(*SCOPE, "word").distinct()
 
 
 for _name, _tele in (("wgr_30it", "phase"), ("wgr_teleport_event", "event")):
-    query(_name, s.with_(*s.base(), *s.fitted(), *s.edges(), *s.ranks(teleport=_tele)) + f"SELECT event, medium, phase, word, {s.r('tr', 8)} AS tr FROM tr")(
+    query(_name, s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges(), *s.ranks(teleport=_tele)) + f"SELECT event, medium, phase, word, {s.r('tr', 8)} AS tr FROM tr")(
         lambda spark, d, t=_tele: p1_swp(spark, d, replace(ROUNDS, teleport=t)).ranks.withColumn("tr", F.round("tr", 8))
     )
 
@@ -262,17 +264,17 @@ for _name, _tele in (("wgr_30it", "phase"), ("wgr_teleport_event", "event")):
 
 
 for _name, _total, _comp in (("swp_weight", "kept", "printed"), ("swp_weight_all", "all", "printed"), ("swp_weight_count", "kept", "count")):
-    query(_name, s.with_(*s.base(), *s.fitted(), *s.edges(), *s.ranks(), *s.swp(_total, _comp)) + f"SELECT event, medium, phase, word, {s.r('weight', 5)} AS weight FROM wt")(
+    query(_name, s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges(), *s.ranks(), *s.swp(_total, _comp)) + f"SELECT event, medium, phase, word, {s.r('weight', 5)} AS weight FROM wt")(
         lambda spark, d, t=_total, c=_comp: p1_swp(spark, d, replace(ROUNDS, total=t, compensation=c)).weights.select(*popularity.KEYS, "word", F.round("weight", 5).alias("weight"))
     )
 
 
-@query("word_pop", s.with_(*s.base(), *s.fitted(), *s.edges(), *s.ranks(), *s.swp()) + f"SELECT event, medium, phase, word, freq, {s.r('pop', 5)} AS pop FROM wp")
+@query("word_pop", s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges(), *s.ranks(), *s.swp()) + f"SELECT event, medium, phase, word, freq, {s.r('pop', 5)} AS pop FROM wp")
 def _(spark, d):
     return p1_swp(spark, d).word_pop.select(*popularity.KEYS, "word", "freq", F.round("pop", 5).alias("pop"))
 
 
-@query("phase_pop", s.with_(*s.base(), *s.fitted(), *s.edges(), *s.ranks(), *s.swp()) + f"SELECT event, medium, phase, {s.r('pop', 5)} AS pop FROM pp")
+@query("phase_pop", s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges(), *s.ranks(), *s.swp()) + f"SELECT event, medium, phase, {s.r('pop', 5)} AS pop FROM pp")
 def _(spark, d):
     return popularity.phase_popularity(p1_swp(spark, d).word_pop).withColumn("pop", F.round("pop", 5))
 
@@ -364,7 +366,7 @@ for _name, _expr, _col in (("dist_vocab", "v", "v"), ("dist_compound", s.COMPOUN
     query(_name, _grid_sql(_expr, vocab=True))(lambda spark, d, c=_col: _vocab_grid(spark, d).select("event", "i", "j", F.round(c, 6).alias("d")))
 
 
-@query("signatures", s.with_(*s.base(), *s.fitted(), *s.edges(), *s.ranks(), *s.swp(), *s.seen_series("pp"), *s.signatures()) + "SELECT event, medium, phase, CAST(list_sum(v) AS BIGINT) AS n_up FROM sv SEMI JOIN contrib USING (event, medium, phase)")
+@query("signatures", s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges(), *s.ranks(), *s.swp(), *s.seen_series("pp"), *s.signatures()) + "SELECT event, medium, phase, CAST(list_sum(v) AS BIGINT) AS n_up FROM sv SEMI JOIN contrib USING (event, medium, phase)")
 def _(spark, d):
     up = F.aggregate("bits", F.lit(0), lambda n, x: n + F.bit_count(x)).cast("long")
     return signatures.sign_projection(p1_swp(spark, d).contributive).select(*popularity.KEYS, up.alias("n_up"))
@@ -376,7 +378,7 @@ EXACT = """SELECT event, i, j, round(1 - c / sqrt(na * nb), 6) + 0.0 AS d FROM (
   JOIN (SELECT event, phase AS j, count(*) AS nb FROM contrib WHERE medium = 'B' GROUP BY ALL) USING (event, j)"""
 
 
-@query("dist_vocab_exact", s.with_(*s.base(), *s.fitted(), *s.edges()) + EXACT)
+@query("dist_vocab_exact", s.with_(*s.base(), *s.fitted(fixed=TH), *s.edges()) + EXACT)
 def _(spark, d):
     c = held(p1_swp(spark, d).contributive)
     return signatures.exact_distance(c.filter("medium = 'A'"), c.filter("medium = 'B'")).withColumn("d", F.round("d", 6))

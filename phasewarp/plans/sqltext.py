@@ -227,7 +227,7 @@ def base(scenario: dict = SCENARIO, clock: str = "quota", stop: str = "lang") ->
     return [*clocked(scenario, clock), *tokens(stop)]
 
 
-def full_swp(scenario: dict = SCENARIO, clock: str = "quota", fixed: float | None = None, **kw) -> list[str]:
+def full_swp(scenario: dict = SCENARIO, clock: str = "quota", fixed: float | None = 10.0, **kw) -> list[str]:
     return [*base(scenario, clock), *fitted(fixed=fixed), *edges(), *ranks(), *swp(**kw), *seen_series("pp")]
 
 
