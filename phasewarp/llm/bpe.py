@@ -39,7 +39,7 @@ _OTHER_WS = re.compile(f"[{_WIDE_WS}]")
 _CHUNK = re.compile(rf" ?[^{_ASCII_WS}]+|[{_ASCII_WS}]+(?![^{_ASCII_WS}])|[{_ASCII_WS}]+")
 
 
-def _byte_alphabet() -> dict[str, int]:
+def byte_alphabet() -> dict[str, int]:
     """Printable stand-ins of the 256 bytes: themselves where visible, else from U+0100 on."""
     seen = [*range(33, 127), *range(161, 173), *range(174, 256)]
     table = {chr(b): b for b in seen}
@@ -54,7 +54,7 @@ class BacktrackingBpe:
 
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
-        byte_of = _byte_alphabet()
+        byte_of = byte_alphabet()
         raw = lambda token: bytes(byte_of[c] for c in token)
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.id_of = {raw(t): i for t, i in spec["model"]["vocab"].items() if t not in self.special}

@@ -17,19 +17,22 @@ from __future__ import annotations
 
 import functools
 import os
+import unicodedata
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from phasewarp.llm.bpe import byte_alphabet
 from phasewarp.llm.common import documents, shared_folder, shuffle_width
 
+_STAND_INS = {b: c for c, b in byte_alphabet().items()}
 END_ID = 1
-CACHE_CHUNKS = 200_000
-CACHE_BYTES = 32 << 20
-BATCH_IDS = 2_000_000
+CACHE_CHUNKS = 400_000
+BATCH_CHARS = 4_000_000
 ORC_OPTIONS = {
     "compression": "zstd",
     "orc.bloom.filter.columns": "doc_id",
@@ -43,7 +46,11 @@ ROW = "doc_id long, part int, before long, ids array<int>"
 
 
 class ChunkEncoder:
-    """Ids of a text as little-endian 32-bit bytes, by remembered white-space-free chunks."""
+    """Ids of texts as little-endian 32-bit bytes, by remembered white-space-free chunks.
+
+    A chunk that is not known is looked up again without its closing ASCII punctuation, which the
+    vocabulary's split pattern never joins to a letter or digit before it.
+    """
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -52,28 +59,73 @@ class ChunkEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_padding()
         self.tokenizer.no_truncation()
-        self.known: dict[bytes, bytes] = {}
-        self.held = 0
+        self.batch = getattr(self.tokenizer, "encode_batch_fast", self.tokenizer.encode_batch)
+        self.merge = self.tokenizer.model.tokenize
+        self.young: dict[bytes, bytes] = {}
+        self.old: dict[bytes, bytes] = {}
 
     def __call__(self, text: str | None) -> bytes:
-        chunks = (text or "").encode("utf-8", "surrogatepass").split()
-        try:
-            return b"".join(map(self.known.__getitem__, chunks))
-        except KeyError:
-            return b"".join(map(self._learn(chunks).__getitem__, chunks))
-
-    def _learn(self, chunks: list[bytes]) -> dict[bytes, bytes]:
-        fresh = list({c for c in chunks if c not in self.known})
-        size = sum(map(len, fresh))
-        if len(self.known) + len(fresh) > CACHE_CHUNKS or self.held + size > CACHE_BYTES:
-            self.known, self.held, fresh = {}, 0, list(set(chunks))
-            size = sum(map(len, fresh))
-        for at in range(0, len(fresh), 4096):
-            part = fresh[at : at + 4096]
-            for c, e in zip(part, self.tokenizer.encode_batch([c.decode("utf-8", "replace") for c in part], add_special_tokens=False)):
-                self.known[c] = np.array(e.ids, "<u4").tobytes()
-        self.held += size
-        return self.known
+        return self.encode_all([text])[0]
+
+    def encode_all(self, texts: list[str | None]) -> list[bytes]:
+        split = [self._split(t) for t in texts]
+        asked = set().union(*split)
+        if len(self.young) + len(asked) // 4 > CACHE_CHUNKS:  # the young generation turns old; what is asked for moves back
+            self.young, self.old = {}, self.young
+        self._learn(asked.difference(self.young))
+        get = self.young.__getitem__
+        return [b"".join(map(get, chunks)) for chunks in split]
+
+    @staticmethod
+    def _split(text: str | None) -> list[bytes]:
+        data = (text or "").encode("utf-8", "surrogatepass")
+        # lower-casing early lets more chunks meet; not where special tokens may be spelled
+        return data.split() if b"<|" in data else data.lower().split()
+
+    def _as_is(self, chunk: bytes) -> str | None:
+        """The chunk in the model's byte alphabet if it is one lower-case word that the normaliser
+        and the split pattern leave as it is, so that the library's merges alone encode it."""
+        if chunk.isalpha():
+            return chunk.decode() if chunk.islower() else None
+        word = chunk.decode("utf-8", "replace")
+        if word.isalpha() and max(word) < "\u0250" and word == word.lower() and unicodedata.is_normalized("NFC", word):
+            return chunk.decode("latin-1").translate(_STAND_INS)
+        return None
+
+    def _learn(self, fresh: set[bytes]) -> None:
+        young, old, whole, cut, wanted = self.young, self.old, [], [], set()
+        for c in fresh:
+            ids = old.get(c)
+            if ids is not None:
+                young[c] = ids
+                continue
+            core = c.rstrip(b".,;:!?")
+            if len(core) == len(c) or not (core[-1:].isalnum() or core.decode("utf-8", "replace")[-1:].isalpha()) or b"<|" in core:
+                whole.append(c)
+                continue
+            end = c[len(core) :]
+            cut.append((c, core, end))
+            for part in (core, end):
+                if part not in young:
+                    ids = old.get(part)
+                    if ids is None:
+                        wanted.add(part)
+                    else:
+                        young[part] = ids
+        wanted.update(whole)
+        unknown = []
+        for c in wanted:
+            plain = self._as_is(c)
+            if plain is None:
+                unknown.append(c)
+            else:
+                young[c] = array("I", [t.id for t in self.merge(plain)]).tobytes()
+        for at in range(0, len(unknown), 4096):
+            part = unknown[at : at + 4096]
+            for c, e in zip(part, self.batch([c.decode("utf-8", "replace") for c in part], add_special_tokens=False)):
+                young[c] = array("I", e.ids).tobytes()
+        for c, core, end in cut:
+            young[c] = young[core] + young[end]
 
 
 @functools.lru_cache(2)
@@ -89,24 +141,30 @@ def _encode_batches(path: str, end_id: int):
 
         encode, part, before = _encoder(path), TaskContext.get().partitionId(), 0
         for b in batches:
-            ids, rows, starts, lengths, held = [], [], [], [], 0
-            for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text")):
-                data = encode(text.as_py()) + tail
-                ids.append(data)
-                rows.append(doc)
-                starts.append(before)
-                lengths.append(len(data) // 4)
-                before += lengths[-1]
-                held += lengths[-1]
-                if held >= BATCH_IDS:
-                    yield _ids_batch(rows, part, starts, lengths, ids)
-                    ids, rows, starts, lengths, held = [], [], [], [], 0
-            if rows:
-                yield _ids_batch(rows, part, starts, lengths, ids)
+            for docs, texts in _slices(b):
+                ids = [data + tail for data in encode.encode_all(texts)]
+                lengths = [len(d) // 4 for d in ids]
+                starts = (before + np.cumsum([0, *lengths[:-1]])).tolist()
+                before += sum(lengths)
+                yield _ids_batch(docs, part, starts, lengths, ids)
 
     return run
 
 
+def _slices(b: pa.RecordBatch):
+    """Ids and texts of a batch in runs of bounded size."""
+    docs, texts, held = [], [], 0
+    for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text")):
+        docs.append(doc)
+        texts.append(text.as_py())
+        held += len(texts[-1] or "")
+        if held >= BATCH_CHARS:
+            yield docs, texts
+            docs, texts, held = [], [], 0
+    if docs:
+        yield docs, texts
+
+
 def _ids_batch(rows, part, starts, lengths, ids) -> pa.RecordBatch:
     offsets = np.concatenate(([0], np.cumsum(lengths))).astype(np.int32)
     values = pa.array(np.frombuffer(b"".join(ids), "<i4"), pa.int32())
