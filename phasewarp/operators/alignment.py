@@ -61,7 +61,13 @@ def pack(series: DataFrame, contributive: DataFrame | None = None, s: int = 64,
         s_ = s_.join(sigs, ["event", "medium", "phase"], "left").withColumn("bits", F.coalesce("bits", signatures.empty_signature(s)))
         parts.append("bits")
     rows = s_.groupBy("event", "medium").agg(F.array_sort(F.collect_list(F.struct("phase", *parts))).alias("x"))
-    side = lambda medium, names: rows.filter(F.col("medium") == medium).select("event", *[F.transform("x", lambda e, p=p: e[p]).alias(n) for p, n in zip(parts, names)])
+
+    def column(part: str) -> Column:
+        return F.transform("x", lambda e: e[part])
+
+    def side(medium: str, names: list[str]) -> DataFrame:
+        return rows.filter(F.col("medium") == medium).select("event", *[column(p).alias(n) for p, n in zip(parts, names)])
+
     return side("A", ["a", "sa", "va"]).join(side("B", ["b", "sb", "vb"]), "event")
 
 
