@@ -7,12 +7,13 @@ bags agree on it with probability equal to their generalised Jaccard similarity.
 
 Words are dealt to ``BINS`` bins by hash and each bin keeps its own winner, so one pass over the
 words gives the whole signature (bin-wise sampling); an empty bin takes the sample of the next
-filled one.  Everything happens inside a row with array functions: texts are not exploded and
-only the pairing of neighbours shuffles.
+filled one.
 
 The edited text needs the next document in descending ``doc_id``.  Ids are cut at approximate
 quantiles, each range is ordered by a window of its own, and a copy of each range's first row goes
-to the range before it, so no window sees the whole table.
+to the range before it, so no window sees the whole table.  Texts are shuffled once, by range.
+Counting words, sampling and picking winners then group by range and row inside the same tasks, in
+generated code, and exploded words are never shuffled.
 
 Rows: null text counts as empty; null ids come last; rows with one id are ordered by a hash of
 the text, then the text; a text without words has the zero fingerprint, alike to another such; a
@@ -29,6 +30,7 @@ from pyspark.sql import functions as F
 from phasewarp.llm.common import NO_ID, WORD, documents, shuffle_width
 
 BINS = 64
+MOST_RANGES = 4096
 SPLIT = "[" + WORD[2:-2] + "]+"
 _BITS = 31
 
@@ -42,59 +44,43 @@ def _uniform(h: Column, at: int) -> Column:
     return (F.shiftrightunsigned(h, at).bitwiseAND(F.lit((1 << _BITS) - 1)) + F.lit(0.5)) / F.lit(2.0**_BITS)
 
 
-def word_hashes(text: Column) -> Column:
-    words = F.filter(F.split(F.coalesce(text, F.lit("")), SPLIT), lambda w: w != "")
-    return F.transform(words, lambda w: F.xxhash64(w))
+def _packed(x: Column, n: Column) -> Column:
+    """bin | sampling value | 16 bits of the sample, of a word's hash and count; ordered within a
+    bin by the value.  All that is random about a word comes from hashes of it."""
+    one, two = F.xxhash64(x, F.lit(1)), F.xxhash64(x, F.lit(2))
+    r = -F.ln(_uniform(one, 0) * _uniform(one, _BITS))
+    c = F.ln(-F.ln(_uniform(two, 0) * _uniform(two, _BITS)))
+    b = _uniform(one.bitwiseXOR(two), 17)
+    t = F.floor(F.ln(n.cast("double")) / r + b)
+    value = F.floor((c - r * (t - b + 1) + F.lit(512.0)) * F.lit(2.0**30))
+    sample = F.xxhash64(x, t).bitwiseAND(F.lit(65535))
+    return F.shiftleft(F.pmod(x, F.lit(BINS)), 57).bitwiseOR(F.shiftleft(value, 16)).bitwiseOR(sample)
 
 
-def _draws(term: Column, weight: Column) -> Column:
-    """What is random about a word: r, ln c and b, from hashes of the word alone."""
-    one, two = F.xxhash64(term, F.lit(1)), F.xxhash64(term, F.lit(2))
-    return _let(
-        F.struct(one.alias("p"), two.alias("q")),
-        lambda h: F.struct(
-            term.alias("x"),
-            weight.alias("w"),
-            (-F.ln(_uniform(h["p"], 0) * _uniform(h["p"], _BITS))).alias("r"),
-            F.ln(-F.ln(_uniform(h["q"], 0) * _uniform(h["q"], _BITS))).alias("c"),
-            _uniform(h["p"].bitwiseXOR(h["q"]), 17).alias("b"),
-        ),
-    )
+def winners(texts: DataFrame, keys: list[str]) -> DataFrame:
+    """``keys, best``: the packed winners of the filled bins of each row of ``texts(keys, t)``.
+
+    Where the rows are already dealt by one of the keys nothing shuffles.  A text without words
+    keeps its row with no winners: its one empty word has a null in place of a sample.
+    """
+    none = F.xxhash64(F.lit(""))
+    words = texts.select(*keys, F.explode(F.split("t", SPLIT)).alias("w")).select(*keys, F.xxhash64("w").alias("x"))
+    counted = words.groupBy(*keys, "x").agg(F.count("*").alias("n"))
+    drawn = counted.select(*keys, F.pmod("x", F.lit(BINS)).alias("bin"), F.when(F.col("x") != none, _packed(F.col("x"), F.col("n"))).alias("packed"))
+    least = drawn.groupBy(*keys, "bin").agg(F.min("packed").alias("packed"))
+    return least.groupBy(*keys).agg(F.sort_array(F.collect_list("packed")).alias("best"))
 
 
 def _bin(packed: Column) -> Column:
     return F.shiftrightunsigned(packed, 57)
 
 
-def _sample(e: Column) -> Column:
-    """bin | sampling value | 16 bits of the sample, ordered within a bin by the value."""
-    return _let(
-        F.floor(F.ln(e["w"].cast("double")) / e["r"] + e["b"]),
-        lambda t: F.shiftleft(F.pmod(e["x"], F.lit(BINS)), 57)
-        .bitwiseOR(F.shiftleft(F.floor((e["c"] - e["r"] * (t - e["b"] + 1) + F.lit(512.0)) * F.lit(2.0**30)), 16))
-        .bitwiseOR(F.xxhash64(e["x"], t).bitwiseAND(F.lit(65535))),
-    )
-
-
-def _winners(hashes: Column) -> Column:
-    """The least packed sample of each filled bin, by bin."""
-
-    def counted(s: Column) -> Column:
-        starts = F.filter(F.sequence(F.lit(0), F.size(s) - 1), lambda i: (i == 0) | (F.get(s, i) != F.get(s, i - 1)))
-        return _let(
-            starts,
-            lambda st: F.transform(st, lambda p, j: _sample(_draws(F.get(s, p), F.coalesce(F.get(st, j + 1), F.size(s)) - p))),
-        )
-
-    best = lambda q: F.filter(q, lambda v, i: (i == 0) | (_bin(v) != _bin(F.get(q, i - 1))))
-    return _let(F.sort_array(hashes), lambda s: _let(F.sort_array(counted(s)), best))
-
-
-def signature(text: Column) -> Column:
-    """``BINS`` numbers of 16 bits as an array of smallint."""
+def signature(best: Column) -> Column:
+    """``BINS`` numbers of 16 bits as an array of smallint, from the winners in bin order."""
+    one = F.lit(1).cast("long")
 
     def dense(m: Column) -> Column:
-        filled = F.aggregate(m, F.lit(0).cast("long"), lambda acc, v: acc.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), _bin(v).cast("int"))))
+        filled = F.aggregate(m, F.lit(0).cast("long"), lambda acc, v: acc.bitwiseOR(F.call_function("shiftleft", one, _bin(v).cast("int"))))
         return _let(
             filled,
             lambda mask: F.transform(
@@ -105,8 +91,7 @@ def signature(text: Column) -> Column:
             ),
         )
 
-    zero = F.array_repeat(F.lit(0), BINS)
-    packed = _let(word_hashes(text), lambda h: F.when(F.size(h) == 0, zero).otherwise(_let(_winners(h), dense)))
+    packed = F.when(F.size(best) == 0, F.array_repeat(F.lit(0), BINS)).otherwise(dense(best))
     return F.transform(packed, lambda v: F.when(v > 32767, v - 65536).otherwise(v).cast("smallint"))
 
 
@@ -132,8 +117,10 @@ def _range_of(key: Column, bounds: list[int]) -> Column:
 
 
 def with_next(docs: DataFrame, parts: int | None = None) -> DataFrame:
-    """Every row's ``doc_id, text, sig`` with ``next_text`` and ``next_sig`` of the next row."""
-    n = parts or 4 * shuffle_width(docs.sparkSession)
+    """Rows dealt by ranges of descending ids: ``part, rid`` (order inside the range), ``guest``
+    (the copy of the next range's first row, at the end), ``doc_id, text, next_text``."""
+    width = shuffle_width(docs.sparkSession)
+    n = parts or min(MOST_RANGES, 16 * width)
     base = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"),
         F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"),
@@ -144,37 +131,40 @@ def with_next(docs: DataFrame, parts: int | None = None) -> DataFrame:
     tops = ranged.groupBy("part").agg(F.max("key").alias("key"))
     goes_to = F.coalesce(F.lead("part").over(Window.orderBy("part")), F.min("part").over(Window.partitionBy()))
     guests = base.join(F.broadcast(tops.select("key", goes_to.alias("part"))), "key")
-    rows = (
-        ranged.withColumn("guest", F.lit(0))
-        .unionByName(guests.withColumn("guest", F.lit(1)))
-        .withColumn("sig", signature(F.col("text")))
-        .withColumn("h", F.xxhash64("text"))
-    )
+    rows = ranged.withColumn("guest", F.lit(0)).unionByName(guests.withColumn("guest", F.lit(1)))
     order = Window.partitionBy("part").orderBy("guest", F.desc("key"), "h", "text")
     return (
-        rows.withColumn("next_text", F.lead("text").over(order))
-        .withColumn("next_sig", F.lead("sig").over(order))
-        .filter("guest = 0")
-        .select("doc_id", "text", "sig", "next_text", "next_sig")
+        rows.withColumn("h", F.xxhash64("text"))
+        .repartition(min(n, 4 * width), "part")
+        .select("part", "guest", "doc_id", "text", F.row_number().over(order).cast("long").alias("rid"), F.lead("text").over(order).alias("next_text"))
     )
 
 
 def compare(docs: DataFrame, parts: int | None = None) -> DataFrame:
+    """Per row ``doc_id, n_chars, edited_sha256``, both fingerprints and both likenesses."""
     n = F.length("text")
     third = F.floor(n / 3).cast("int")
     edited = F.concat(F.substring(F.col("text"), F.lit(1), (n - third)), F.substring(F.col("next_text"), F.lit(1), third))
-    return (
-        with_next(docs, parts)
-        .select("doc_id", "sig", "next_sig", n.cast("long").alias("n_chars"), edited.alias("edited"))
-        .select("doc_id", "sig", "next_sig", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), signature(F.col("edited")).alias("edited_sig"))
+    rows = with_next(docs, parts).withColumn("edited", F.when(F.col("guest") == 0, edited))
+    # a range's rows in order: text, edited, text, edited, ..., the guest's text
+    both = F.array(F.struct(F.lit(0).alias("v"), F.col("text").alias("t")), F.struct(F.lit(1).alias("v"), F.col("edited").alias("t")))
+    texts = rows.select("part", "rid", F.explode(both).alias("e")).select("part", (F.col("rid") * 2 + F.col("e.v")).alias("at"), F.col("e.t").alias("t")).filter("t IS NOT NULL")
+    order = Window.partitionBy("part").orderBy("at")
+    signed = (
+        winners(texts, ["part", "at"])
+        .select("part", "at", signature(F.col("best")).alias("sig"))
+        .select("part", "at", "sig", F.lead("sig", 1).over(order).alias("edited_sig"), F.lead("sig", 2).over(order).alias("next_sig"))
+        .filter("at % 2 = 0 AND next_sig IS NOT NULL")
         .select(
-            "doc_id", "n_chars", "edited_sha256",
+            "part", F.expr("at div 2").alias("rid"),
             as_text(F.col("sig")).alias("fingerprint"),
             as_text(F.col("edited_sig")).alias("edited_fingerprint"),
             likeness(F.col("sig"), F.col("edited_sig")).alias("near_edited"),
             likeness(F.col("sig"), F.col("next_sig")).alias("near_next"),
         )
     )
+    told = rows.filter("guest = 0").select("part", "rid", "doc_id", n.cast("long").alias("n_chars"), F.sha2("edited", 256).alias("edited_sha256"))
+    return told.join(signed, ["part", "rid"]).select("doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
