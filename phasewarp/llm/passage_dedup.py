@@ -38,6 +38,7 @@ ANCHOR = 27
 BANDS, ROWS = 8, 3
 CROWD = 64
 BLOCK = 512
+BATCH_CHARS = 1_000_000
 UNITS = "doc_id long, line int, start int, words int, unit long, bands array<long>"
 _MULTIPLY = np.random.default_rng(20240101).integers(1, 2**63, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
 _ADD = np.random.default_rng(20240102).integers(0, 2**63, BANDS * ROWS, dtype=np.uint64)
@@ -57,24 +58,22 @@ def _grams(words: np.ndarray, size: int, seed: int) -> np.ndarray:
     return out
 
 
-def anchors(grams: np.ndarray, width: int) -> np.ndarray:
-    """Starts that are the least (rightmost of equals) in some window of ``width`` starts."""
-    if len(grams) == 0:
+def anchors(grams: np.ndarray, width: int, at: np.ndarray) -> np.ndarray:
+    """Positions that are the least (rightmost of equals) of the ``width`` grams from some of the
+    starts ``at``, ascending."""
+    if len(at) == 0:
         return np.zeros(0, np.int64)
-    if len(grams) <= width:
-        return np.array([len(grams) - 1 - int(np.argmin(grams[::-1]))])
-    windows = np.lib.stride_tricks.sliding_window_view(grams, width)
-    return np.unique(np.arange(len(windows)) + width - 1 - np.argmin(windows[:, ::-1], axis=1))
+    windows = np.lib.stride_tricks.sliding_window_view(grams, width)[at]
+    return np.unique(at + width - 1 - np.argmin(windows[:, ::-1], axis=1))
 
 
-def signature(shingles: np.ndarray) -> np.ndarray:
-    """Band keys of a set of shingle hashes."""
-    low = np.empty(BANDS * ROWS, np.uint64)
+def signatures(shingles: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """Band keys of the shingle hashes of many paragraphs laid end to end."""
+    keys = np.repeat(np.arange(BANDS, dtype=np.uint64)[None, :], len(starts), axis=0)
     for k in range(BANDS * ROWS):
-        low[k] = _spread(shingles * _MULTIPLY[k] + _ADD[k]).min()
-    keys = np.arange(BANDS, dtype=np.uint64)
-    for k in range(ROWS):
-        keys = _spread(keys * np.uint64(0x94D049BB133111EB) + low.reshape(BANDS, ROWS)[:, k])
+        low = np.minimum.reduceat(_spread(shingles * _MULTIPLY[k] + _ADD[k]), starts)
+        band = k // ROWS
+        keys[:, band] = _spread(keys[:, band] * np.uint64(0x94D049BB133111EB) + low)
     return keys.view(np.int64)
 
 
@@ -97,52 +96,70 @@ class WordHashes:
         return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
 
 
-def _unit(grams_or_words: np.ndarray, seed: int) -> int:
-    return xxhash.xxh64_intdigest(grams_or_words.tobytes(), seed)
-
-
-def paragraph_units(text: str | None, hashes: WordHashes):
-    """(line, start, words, unit, band keys or None) of a text's paragraphs and pieces."""
-    for number, line in enumerate((text or "").encode("utf-8", "surrogatepass").lower().split(b"\n")):
-        if len(line) < 2 * LEAST_WORDS - 1:
-            continue
-        words = line.split()
-        n = len(words)
-        if n < LEAST_WORDS:
-            continue
-        h = hashes.of(words)
-        with np.errstate(over="ignore"):
-            bands = signature(_grams(h, SHINGLE, 5))
-            yield number, 0, n, _unit(h, 1), bands
-            if n >= ANCHOR + PIECE - 1:
-                pieces = _grams(h, PIECE, 24)
-                for at in anchors(pieces, ANCHOR).tolist():
-                    yield number, at, PIECE, int(pieces[at]), None
+def paragraph_units(texts: list[tuple], hashes: WordHashes):
+    """Units of ``(doc_id, text)`` rows as columns: doc_id, line, start, words, unit, band keys
+    (one row per paragraph, in the order of the first rows).  Words of all paragraphs are hashed
+    and combined in one go."""
+    docs, lines, sizes, words = [], [], [], []
+    for doc, text in texts:
+        for number, line in enumerate((text or "").encode("utf-8", "surrogatepass").lower().split(b"\n")):
+            if len(line) < 2 * LEAST_WORDS - 1:
+                continue
+            found = line.split()
+            if len(found) >= LEAST_WORDS:
+                docs.append(doc)
+                lines.append(number)
+                sizes.append(len(found))
+                words += found
+    if not docs:
+        return None
+    h, n = hashes.of(words), np.array(sizes)
+    ends = np.cumsum(n)
+    starts = ends - n
+    of = np.repeat(np.arange(len(n)), n)  # paragraph of each word
+    left = ends[of] - np.arange(len(h))  # words from here to its end
+    with np.errstate(over="ignore"):
+        whole = left >= SHINGLE
+        grams = _grams(h, SHINGLE, 5)
+        whole = whole[: len(grams)]
+        firsts = np.concatenate(([0], np.cumsum(np.bincount(of[: len(grams)][whole], minlength=len(n)))[:-1]))
+        bands = signatures(grams[whole], firsts)
+        place = np.arange(len(h)) - starts[of]
+        unit = np.add.reduceat(_spread(_spread(h + place.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)), starts)
+        unit = _spread(unit + n.astype(np.uint64))
+        pieces = _grams(h, PIECE, 24)
+        at = anchors(pieces, ANCHOR, np.flatnonzero(left >= ANCHOR + PIECE - 1))
+    doc_of = np.array([NO_ID if d is None else d for d in docs], np.int64)
+    return (
+        np.concatenate([doc_of, doc_of[of[at]]]), np.concatenate([np.array(lines), np.array(lines)[of[at]]]), np.concatenate([np.zeros(len(n), np.int64), place[at]]),
+        np.concatenate([n, np.full(len(at), PIECE)]), np.concatenate([unit, pieces[at]]), bands,
+    )
 
 
 def _unit_batches(batches):
     hashes = WordHashes()
     for b in batches:
-        rows = []
+        rows, held = [], 0
         for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text")):
-            rows += [(doc, *u) for u in paragraph_units(text.as_py(), hashes)]
-            if len(rows) > 100_000:
-                yield _units(rows)
-                rows = []
+            rows.append((doc, text.as_py()))
+            held += len(rows[-1][1] or "")
+            if held > BATCH_CHARS:
+                yield from _units(paragraph_units(rows, hashes))
+                rows, held = [], 0
         if rows:
-            yield _units(rows)
+            yield from _units(paragraph_units(rows, hashes))
 
 
-def _units(rows: list[tuple]) -> pa.RecordBatch:
-    doc, line, start, words, unit, bands = zip(*rows)
-    full = [k for k in bands if k is not None]
-    offsets = np.concatenate(([0], np.cumsum([0 if k is None else BANDS for k in bands]))).astype(np.int32)
-    values = np.concatenate(full) if full else np.zeros(0, np.int64)
-    return pa.RecordBatch.from_arrays(
-        [pa.array(doc, pa.int64()), *(pa.array(c, pa.int32()) for c in (line, start, words)), pa.array(np.array(unit, np.uint64).view(np.int64)),
-         pa.ListArray.from_arrays(pa.array(offsets), pa.array(values, pa.int64()))],
+def _units(found):
+    if found is None:
+        return
+    doc, line, start, words, unit, bands = found
+    counts = np.concatenate([np.full(len(bands), BANDS), np.zeros(len(doc) - len(bands), np.int64)])
+    offsets = np.concatenate(([0], np.cumsum(counts))).astype(np.int32)
+    yield pa.RecordBatch.from_arrays(
+        [pa.array(doc), *(pa.array(c.astype(np.int32)) for c in (line, start, words)), pa.array(unit.view(np.int64)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(bands.ravel()))],
         names=["doc_id", "line", "start", "words", "unit", "bands"],
-    )
+    )
 
 
 def _shingle_batches(batches):

@@ -20,19 +20,22 @@ def test_every_long_passage_holds_a_common_piece():
         cut = []
         for _ in range(2):
             text = " ".join(prose(rng, rng.randrange(0, 60)) + passage + prose(rng, rng.randrange(0, 60)))
-            cut.append({u[3] for u in pd_.paragraph_units(text, h) if u[4] is None})
+            doc, line, start, words, unit, bands = pd_.paragraph_units([(1, "x y z\n" + text), (2, text.upper())], h)
+            assert len(bands) == 2 and unit[0] == unit[1] and (bands[0] == bands[1]).all()
+            cut.append(set(unit[len(bands) :].tolist()))
         assert cut[0] & cut[1]
 
 
 def test_anchor_definition():
     rng = np.random.default_rng(1)
-    for n in (0, 1, 5, 40):
+    for n in (5, 6, 40):
         g = rng.integers(0, 9, n, dtype=np.uint64)
         want = set()
-        for s in range(max(1, n - 4) if n else 0):
+        for s in range(n - 4):
             w = g[s : s + 5].tolist()
             want.add(s + max(i for i, x in enumerate(w) if x == min(w)))
-        assert set(pd_.anchors(g, 5).tolist()) == want
+        assert set(pd_.anchors(g, 5, np.arange(n - 4)).tolist()) == want
+    assert len(pd_.anchors(g, 5, np.arange(0))) == 0
 
 
 @pytest.fixture(scope="module")
