@@ -47,8 +47,9 @@ METHODS = {
 }
 
 
-def method(name: str, **changes) -> Method:
-    return replace(METHODS[name], **changes)
+def method(base: str, **changes) -> Method:
+    """A published method with some of its settings changed."""
+    return replace(METHODS[base], **changes)
 
 
 def pack(series: DataFrame, contributive: DataFrame | None = None, s: int = 64, seed: int = 42) -> DataFrame:

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from phasewarp.sources.lineage import cut
+
 SLACK = 1e-9
 
 
@@ -17,7 +19,8 @@ def ranked_by_range(vocab: DataFrame, scope: list[str], parts: int = 64) -> Data
     """The same ranks in two passes for vocabularies beyond one task: a range sort, one count per
     range and scope, and local ranks on top of the counts before.  The range number is kept in a
     checkpoint, because it must not change between the passes."""
-    ranges = vocab.repartitionByRange(parts, *scope, F.desc("freq"), "word").withColumn("_part", F.spark_partition_id()).checkpoint()
+    ranges = vocab.repartitionByRange(parts, *scope, F.desc("freq"), "word").withColumn("_part", F.spark_partition_id())
+    ranges = cut(ranges)
     sizes = ranges.groupBy(*scope, "_part").agg(F.count("*").alias("_n"))
     before = Window.partitionBy(*scope).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
     starts = sizes.select(*scope, "_part", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))

@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from phasewarp.operators import cutoff, frequency, phases, similarity, wordrank
+from phasewarp.sources.lineage import cut
 
 KEYS = ["event", "medium", "phase"]
 
@@ -78,7 +78,7 @@ def weights(ranks: DataFrame, totals: DataFrame, compensation: str = "printed")
 
 @dataclass
 class Swp:
-    """Stages of one run, each lazy; contributive words are those with a rank."""
+    """Stages of one run; contributive words are those with a rank."""
 
     kept: DataFrame
     kept_words: DataFrame
@@ -89,22 +89,18 @@ class Swp:
     word_pop: DataFrame
     series: DataFrame
 
-    def unpersist(self) -> None:
-        self.kept_words.unpersist()
-        self.ranks.unpersist()
-
 
 def semantic_weight(words: DataFrame, vectors: DataFrame, cfg: SwpConfig = SwpConfig(), strategy: str = "series") -> Swp:
     """From phase words and word vectors to the normalised series, with every stage on the way.
 
-    The words left by the cut-off and their ranks are small and read by several stages, so they
-    are kept; ``unpersist`` them through the result when done.
+    The words left by the cut-off and their ranks are small and read by several stages, so their
+    lineage is cut there.
     """
     scope = list(cfg.scope)
     ranks_ = cutoff.ranked(frequency.vocabulary(words, scope), scope)
     fit = cutoff.threshold(cutoff.median_rank(cutoff.fit_power_law(ranks_, scope), cfg.support), cfg.th)
     kept = cutoff.kept_words(ranks_, fit, scope, cfg.cut, cfg.keep_at_least, cfg.max_vocab)
-    left = cutoff.apply(words, kept, scope).persist(StorageLevel.MEMORY_AND_DISK)
+    left = cut(cutoff.apply(words, kept, scope))
     both = left.select("event", "medium", "word").distinct()
     links = similarity.edges(both, vectors, ["event", "medium"], cfg.beta, cfg.gamma)
     if strategy == "series":
@@ -113,7 +109,7 @@ def semantic_weight(words: DataFrame, vectors: DataFrame, cfg: SwpConfig = SwpCo
         graph = similarity.phase_edges(links, left)
         ranked = wordrank.rank if strategy == "grouped" else wordrank.rank_joined
         tr = ranked(graph, cfg.theta, cfg.tol, cfg.max_iter, cfg.teleport)
-    tr = tr.persist(StorageLevel.MEMORY_AND_DISK)
+    tr = cut(tr)
     totals = (left if cfg.total == "kept" else words).groupBy(*KEYS).agg(F.sum("freq").alias("total"))
     w = weights(tr, totals, cfg.compensation)
     pops = word_popularity(left, w)

@@ -7,6 +7,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from phasewarp.operators.frames import plain
+
 BETA, GAMMA = 0.7, 0.02
 
 
@@ -100,7 +102,7 @@ def edges(kept: DataFrame, vectors: DataFrame, scope: list[str], beta: float = B
             yield pd.DataFrame({**{k: pdf[k].iat[0] for k in scope}, "w1": names[at + i], "w2": names[j], "sem": sem[i, j], "str": lex[i, j], "sim": sim[i, j]})
 
     def grouped(pdf: pd.DataFrame) -> pd.DataFrame:
-        return pd.concat(list(run(None, [pdf])), ignore_index=True)
+        return plain(pd.concat(list(run(None, [pdf])), ignore_index=True))
 
     fields = ", ".join(f"{k} string" for k in scope)
     return words.groupBy(*scope).applyInPandas(grouped, f"{fields}, w1 string, w2 string, sem double, str double, sim double")

@@ -7,8 +7,12 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from phasewarp.operators.frames import plain
+from phasewarp.sources.lineage import cut
+
 THETA = 0.85
 KEYS = ["event", "medium", "phase"]
+NO_TEXT = np.zeros(0, object)
 
 
 def power_iteration(a: np.ndarray, b: np.ndarray, w: np.ndarray, n: int, base: float, theta: float, tol: float, rounds: int) -> np.ndarray:
@@ -39,7 +43,7 @@ def rank(graph: DataFrame, theta: float = THETA, tol: float = 1e-9, rounds: int
         half = len(pdf)
         base = len(words) if teleport == "phase" else pdf["n_event"].iat[0]
         tr = power_iteration(at[:half], at[half:], pdf["sim"].to_numpy(), len(words), base, theta, tol, rounds)
-        return pd.DataFrame({**{k: pdf[k].iat[0] for k in KEYS}, "word": words, "tr": tr})
+        return plain(pd.DataFrame({**{k: pdf[k].iat[0] for k in KEYS}, "word": words, "tr": tr}))
 
     return joined.groupBy(*KEYS).applyInPandas(run, "event string, medium string, phase int, word string, tr double")
 
@@ -66,7 +70,7 @@ def rank_series(links: DataFrame, words: DataFrame, theta: float = THETA, tol: f
             base = len(used) if teleport == "phase" else len(all_words)
             tr = power_iteration(x, y, sim, len(used), base, theta, tol, rounds)
             out.append(pd.DataFrame({"event": graph["event"].iat[0], "medium": graph["medium"].iat[0], "phase": np.int32(phase), "word": names[used], "tr": tr}))
-        return pd.concat(out, ignore_index=True) if out else pd.DataFrame({"event": [], "medium": [], "phase": np.zeros(0, np.int32), "word": [], "tr": np.zeros(0)})
+        return plain(pd.concat(out, ignore_index=True)) if out else pd.DataFrame({"event": NO_TEXT, "medium": NO_TEXT, "phase": np.zeros(0, np.int32), "word": NO_TEXT, "tr": np.zeros(0)})
 
     series = ["event", "medium"]
     return (
@@ -82,7 +86,8 @@ def rank_joined(graph: DataFrame, theta: float = THETA, tol: float = 1e-9, round
     reliable checkpoint and the largest move is the only value that reaches the driver."""
     both = graph.select(*KEYS, F.col("w1").alias("i"), F.col("w2").alias("j"), "sim").unionAll(graph.select(*KEYS, "w2", "w1", "sim"))
     strength = both.groupBy(*KEYS, F.col("j")).agg(F.sum("sim").alias("s"))
-    share = both.join(strength, [*KEYS, "j"]).select(*KEYS, "i", "j", (F.col("sim") / F.col("s")).alias("p")).checkpoint()
+    share = both.join(strength, [*KEYS, "j"]).select(*KEYS, "i", "j", (F.col("sim") / F.col("s")).alias("p"))
+    share = cut(share)
     nodes = strength.select(*KEYS, F.col("j").alias("i"))
     sizes = nodes.groupBy(*KEYS).agg(F.count("*").cast("double").alias("n"))
     if teleport == "event":
@@ -91,14 +96,14 @@ def rank_joined(graph: DataFrame, theta: float = THETA, tol: float = 1e-9, round
     else:
         sizes = sizes.withColumn("base", F.col("n"))
     start = nodes.join(sizes, KEYS).select(*KEYS, "i", "base", (1 / F.col("n")).alias("tr"))
-    now = start.checkpoint()
+    now = cut(start)
     for k in range(1, rounds + 1):
         flow = share.join(now.select(*KEYS, F.col("i").alias("j"), F.col("tr").alias("t")), [*KEYS, "j"]).groupBy(*KEYS, "i").agg(F.sum(F.col("p") * F.col("t")).alias("flow"))
         step = now.join(flow, [*KEYS, "i"]).select(*KEYS, "i", "base", ((1 - theta) / F.col("base") + theta * F.col("flow")).alias("tr"), F.col("tr").alias("was"))
         if k % every and k < rounds:
             now = step.drop("was")
             continue
-        step = step.checkpoint()
+        step = cut(step)
         moved = step.agg(F.max(F.abs(F.col("tr") - F.col("was")))).first()[0]
         now = step.drop("was")
         if moved is None or moved < tol:

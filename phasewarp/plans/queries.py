@@ -6,7 +6,6 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import replace
 
-from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -16,6 +15,7 @@ from phasewarp.operators.alignment import METHODS, method
 from phasewarp.operators.popularity import SwpConfig
 from phasewarp.plans import sqltext as s
 from phasewarp.sources import tables
+from phasewarp.sources.lineage import cut
 from phasewarp.sources.tables import table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -40,9 +40,7 @@ def r6(*names: str) -> list[Column]:
     return [F.round(n, 6).alias(n) for n in names]
 
 
-def held(df: DataFrame) -> DataFrame:
-    """Aggregates that several stages read are computed once."""
-    return df.persist(StorageLevel.MEMORY_AND_DISK)
+held = cut
 
 
 def p1(spark, d, scenario=None, clock="quota") -> DataFrame:
@@ -208,10 +206,6 @@ def _(spark, d):
 
 @query("distributed_rank", s.with_(*LANG_WORDS, *s.fitted("lang")) + "SELECT lang, word, freq, CAST(rank AS INT) AS rank FROM voc")
 def _(spark, d):
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        import tempfile
-
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp())
     return cutoff.ranked_by_range(_lang_words(spark, d), ["lang"], 8).select("lang", "word", "freq", "rank")
 
 
