@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phasewarp.llm.common import documents, shared_folder, stored
+from phasewarp.llm.common import documents, release, shared_folder, stored
 
 THRESHOLD = 0.3
 SAMPLE_ROWS = 20_000
@@ -117,7 +117,7 @@ class Restorer:
 class Words:
     """Words of a text as scored: lower case, edges stripped, odd ones restored (remembered)."""
 
-    def __init__(self, model: np.ndarray, most: int = 200_000):
+    def __init__(self, model: np.ndarray, most: int = 100_000):
         self.restore, self.known, self.most = Restorer(model), {}, most
 
     def word(self, raw: str) -> str:
@@ -160,6 +160,8 @@ def _feature_batches(model: np.ndarray):
                 out += found
                 toxic += [y] * len(found)
             yield pa.RecordBatch.from_arrays([pa.array(out, pa.string()), pa.array(toxic, pa.int64())], names=["feature", "toxic"])
+        words.known.clear()
+        release()
 
     return run
 
@@ -182,7 +184,7 @@ class Scorer:
         found = self.known.get(raw)
         if found is None:
             found = self._weigh(self.words.word(raw))
-            if len(self.known) >= 300_000:
+            if len(self.known) >= 150_000:
                 self.known.clear()
             self.known[raw] = found
         return found
@@ -201,6 +203,11 @@ class Scorer:
             return 0.0, 0.0, 0.0, 0.0
         return max(heavy), math.log1p(sum(heavy)), math.log1p(len(heavy)), math.log1p(len(words))
 
+    def forget(self) -> None:
+        """Drop what is remembered, at the end of a task."""
+        self.words, self.known = None, {}
+        release()
+
     def __call__(self, text: str | None) -> float:
         z = self.line[0] + sum(a * x for a, x in zip(self.line[1:], self.signals(text)))
         return 1 / (1 + math.exp(-max(-35.0, min(35.0, z))))
@@ -222,6 +229,7 @@ def _score_batches(scorer: Scorer):
             at = b.schema.get_field_index("text")
             names = [n for n in b.schema.names if n != "text"]
             yield pa.RecordBatch.from_arrays([*(c for k, c in enumerate(b.columns) if k != at), pa.array(scores, pa.float64())], names=[*names, "score"])
+        scorer.forget()
 
     return run
 
@@ -300,6 +308,7 @@ def _passing_batches(scorer: Scorer, threshold: float):
     def run(batches):
         for b in batches:
             yield b.filter(pa.array([scorer(t.as_py()) < threshold for t in b.column("text")], pa.bool_()))
+        scorer.forget()
 
     return run
 
