@@ -55,7 +55,8 @@ def method(base: str, **changes) -> Method:
 def pack(series: DataFrame, contributive: DataFrame | None = None, s: int = 64, seed: int = 42) -> DataFrame:
     """One row per event: ``a, b`` (values), ``sa, sb`` (slopes) and, with contributive words,
     ``va, vb`` (signatures), each in phase order."""
-    s_ = distances.slopes(series).select("event", "medium", "phase", "pop_norm", "slope")
+    # twelve digits, so that equal costs are equal whatever the order their sums were made in
+    s_ = distances.slopes(series.withColumn("pop_norm", F.round("pop_norm", 12))).select("event", "medium", "phase", "pop_norm", "slope")
     parts = ["pop_norm", "slope"]
     if contributive is not None:
         sigs = signatures.sign_projection(contributive, s, seed)

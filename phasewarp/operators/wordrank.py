@@ -86,8 +86,6 @@ def rank_joined(graph: DataFrame, theta: float = THETA, tol: float = 1e-9, round
     reliable checkpoint and the largest move is the only value that reaches the driver."""
     both = graph.select(*KEYS, F.col("w1").alias("i"), F.col("w2").alias("j"), "sim").unionAll(graph.select(*KEYS, "w2", "w1", "sim"))
     strength = both.groupBy(*KEYS, F.col("j")).agg(F.sum("sim").alias("s"))
-    share = both.join(strength, [*KEYS, "j"]).select(*KEYS, "i", "j", (F.col("sim") / F.col("s")).alias("p"))
-    share = cut(share)
     nodes = strength.select(*KEYS, F.col("j").alias("i"))
     sizes = nodes.groupBy(*KEYS).agg(F.count("*").cast("double").alias("n"))
     if teleport == "event":
@@ -95,17 +93,17 @@ def rank_joined(graph: DataFrame, theta: float = THETA, tol: float = 1e-9, round
         sizes = sizes.join(base, ["event", "medium"])
     else:
         sizes = sizes.withColumn("base", F.col("n"))
-    start = nodes.join(sizes, KEYS).select(*KEYS, "i", "base", (1 / F.col("n")).alias("tr"))
-    now = cut(start)
+    share = cut(both.join(strength, [*KEYS, "j"]).join(sizes, KEYS).select(*KEYS, "i", "j", "base", "n", (F.col("sim") / F.col("s")).alias("p")))
+    now = last = cut(share.select(*KEYS, "i", (1 / F.col("n")).alias("tr")).distinct())
     for k in range(1, rounds + 1):
-        flow = share.join(now.select(*KEYS, F.col("i").alias("j"), F.col("tr").alias("t")), [*KEYS, "j"]).groupBy(*KEYS, "i").agg(F.sum(F.col("p") * F.col("t")).alias("flow"))
-        step = now.join(flow, [*KEYS, "i"]).select(*KEYS, "i", "base", ((1 - theta) / F.col("base") + theta * F.col("flow")).alias("tr"), F.col("tr").alias("was"))
+        # every word has an edge, so the new scores need the old ones once
+        flow = share.join(now.select(*KEYS, F.col("i").alias("j"), F.col("tr").alias("t")), [*KEYS, "j"]).groupBy(*KEYS, "i").agg(F.sum(F.col("p") * F.col("t")).alias("flow"), F.max("base").alias("base"))
+        now = flow.select(*KEYS, "i", ((1 - theta) / F.col("base") + theta * F.col("flow")).alias("tr"))
         if k % every and k < rounds:
-            now = step.drop("was")
             continue
-        step = cut(step)
-        moved = step.agg(F.max(F.abs(F.col("tr") - F.col("was")))).first()[0]
-        now = step.drop("was")
+        now = cut(now)
+        moved = now.join(last.withColumnRenamed("tr", "was"), [*KEYS, "i"]).agg(F.max(F.abs(F.col("tr") - F.col("was")))).first()[0]
+        last = now
         if moved is None or moved < tol:
             break
     return now.select(*KEYS, F.col("i").alias("word"), "tr")

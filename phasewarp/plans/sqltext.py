@@ -160,7 +160,7 @@ def swp(total: str = "kept", compensation: str = "printed") -> list[str]:
 def slopes(source: str = "epts") -> list[str]:
     w = "(PARTITION BY event, medium ORDER BY phase)"
     return [
-        f"sl0 AS (SELECT *, (pop_norm - lag(pop_norm) OVER {w} + (lead(pop_norm) OVER {w} - lag(pop_norm) OVER {w}) / 2) / 2 AS s0 FROM {source})",
+        f"sl0 AS (SELECT *, (pop_norm - lag(pop_norm) OVER {w} + (lead(pop_norm) OVER {w} - lag(pop_norm) OVER {w}) / 2) / 2 AS s0 FROM (SELECT * REPLACE (round(pop_norm, 12) AS pop_norm) FROM {source}))",
         f"sl AS (SELECT event, medium, phase, pop_norm, coalesce(s0, lead(s0) OVER {w}, lag(s0) OVER {w}, 0.0::DOUBLE) AS slope FROM sl0)",
     ]
 
