@@ -113,7 +113,8 @@ def fingerprint(text: str | None) -> int:
 def _fingerprint_batches(batches):
     for b in batches:
         prints = np.array([fingerprint(t) for t in b.column("text").to_pylist()], dtype=np.uint64).view(np.int64)
-        yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(prints, pa.int64())], names=["doc_id", "fp"])
+        others = [n for n in b.schema.names if n != "text"]
+        yield pa.RecordBatch.from_arrays([*(b.column(n) for n in others), pa.array(prints, pa.int64())], names=[*others, "fp"])
 
 
 def _key_batches(batches):
@@ -128,10 +129,17 @@ def _key_batches(batches):
         yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out_key)), pa.array(np.concatenate(out_fp))], names=["key", "fp"])
 
 
-def fingerprints(docs: DataFrame) -> DataFrame:
-    """``(doc_id, fp)`` with the fingerprint as a signed 64-bit number."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(
-        _fingerprint_batches, "doc_id long, fp long"
+def _text_key(text):
+    """Tells texts apart; null counts as empty, which it equals in fingerprint."""
+    return F.md5(F.coalesce(text.cast("string"), F.lit("")))
+
+
+def fingerprints(docs: DataFrame, keyed: bool = False) -> DataFrame:
+    """``(doc_id, fp)`` with the fingerprint as a signed 64-bit number; with ``keyed`` also
+    ``text_key`` between them."""
+    key = [_text_key(F.col("text")).alias("text_key")] if keyed else []
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), *key, F.col("text").cast("string").alias("text")).mapInArrow(
+        _fingerprint_batches, "doc_id long, text_key string, fp long" if keyed else "doc_id long, fp long"
     )
 
 
@@ -156,10 +164,11 @@ def links(prints: DataFrame, folder: str, hot: int = HOT) -> DataFrame:
     return pairs.unionByName(through).distinct()
 
 
-def near_groups(docs: DataFrame, hot: int = HOT) -> DataFrame:
-    """Per row ``doc_id, fingerprint, component_id`` (and ``fp``, ``doc_id`` kept as given)."""
+def near_groups(docs: DataFrame, hot: int = HOT, keyed: bool = False) -> DataFrame:
+    """Per row ``doc_id, fingerprint, component_id`` (and ``fp``, ``doc_id`` kept as given); with
+    ``keyed`` also ``text_key`` and ``root``, which names the group where ids do not."""
     folder = shared_folder(docs.sparkSession)
-    rows = stored(fingerprints(docs), folder, "fingerprints")
+    rows = stored(fingerprints(docs, keyed), folder, "fingerprints")
     distinct = stored(
         rows.groupBy("fp").agg(F.min(F.coalesce("doc_id", F.lit(NO_ID))).alias("least")), folder, "distinct"
     )
@@ -167,27 +176,30 @@ def near_groups(docs: DataFrame, hot: int = HOT) -> DataFrame:
     roots = components(linked, folder)
     members = distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     top = members.groupBy("root").agg(F.min("least").alias("component"))
-    names = stored(members.join(top, "root").select("fp", "component"), folder, "names")
+    names = stored(members.join(top, "root").select("fp", "component", *(["root"] if keyed else [])), folder, "names")
     return rows.join(names, "fp").select(
         "doc_id",
         F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"),
         F.when(F.col("component") != NO_ID, F.col("component")).alias("component_id"),
         "fp",
+        *(["text_key", "root"] if keyed else []),
     )
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """One row of each near-duplicate group stays: the one with the smallest ``doc_id`` (null is
-    smallest; among rows repeated with it, the one whose JSON form sorts first)."""
+    smallest; among rows repeated with it, the one whose JSON form sorts first).  Groups are told
+    apart by their root, since rows of several groups may share an id or have none."""
     from pyspark.sql import Window
 
-    near = near_groups(docs)
+    near = near_groups(docs, keyed=True)
     same = F.col("doc_id").eqNullSafe(F.col("component_id"))
-    kept = near.filter(same).select(F.coalesce("doc_id", F.lit(NO_ID)).alias("id_key")).distinct()
-    at = Window.partitionBy("id_key").orderBy("_others")
+    kept = near.filter(same).select(F.coalesce("doc_id", F.lit(NO_ID)).alias("id_key"), "text_key", "root").distinct()
+    at = Window.partitionBy("root").orderBy("_others")
     return (
         docs.withColumn("id_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
-        .join(kept, "id_key", "left_semi")
+        .withColumn("text_key", _text_key(F.col("text")))
+        .join(kept, ["id_key", "text_key"])
         .withColumn("_others", F.to_json(F.struct(*[F.col(c) for c in docs.columns if c != "text"], F.xxhash64("text").alias("_h"))))
         .withColumn("_at", F.row_number().over(at))
         .filter("_at = 1")

@@ -90,6 +90,18 @@ def test_groups_and_keep_one(make_docs, odd_rows):
     assert sg.near_groups(make_docs([])).count() == 0
 
 
+def test_keep_one_keeps_a_row_of_every_group_without_ids_of_its_own(make_docs):
+    rng = random.Random(11)
+    texts = [" ".join(f"w{rng.randrange(10_000)}" for _ in range(60)) for _ in range(6)]
+    prints = [slow_print(t) for t in texts]
+    assert min(bin(a ^ b).count("1") for a, b in itertools.combinations(prints, 2)) > 2
+    rows = [(None, texts[0], "s"), (None, texts[1], "s"), (None, texts[1].upper(), "s"), (7, texts[2], "s"), (7, texts[3], "s"), (7, texts[3], "s")]
+    rows += [(8, texts[4], "s"), (None, texts[4], "s"), (9, texts[5], "s"), (None, None, "s"), (None, "", "s")]
+    kept = [(r.doc_id, (r.text or "").lower()) for r in sg.keep_one(make_docs(rows)).collect()]
+    want = [(None, ""), (None, texts[0]), (None, texts[1]), (7, texts[2]), (7, texts[3]), (None, texts[4]), (9, texts[5])]
+    assert sorted(kept, key=str) == sorted(want, key=str)
+
+
 def test_table_matches_brute_force(spark, sf):
     rows = sg.query(spark, sf).collect()
     texts = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
