@@ -5,9 +5,10 @@ give r and c, each Gamma(2, 1), and b uniform: t = floor(ln w / r + b) and the s
 ln a = ln c - r (t - b + 1).  The word with the least value wins and its sample is (word, t); two
 bags agree on it with probability equal to their generalised Jaccard similarity.
 
-Words are dealt to ``BINS`` bins by hash and each bin keeps its own winner, so one pass over the
-words gives the whole signature (bin-wise sampling); an empty bin takes the sample of the next
-filled one.
+The query draws (r, c, b) anew for each of its ``BINS`` slots and keeps in each the least value over
+all words, so every slot is a sample of its own of the whole bag.  :func:`compare` on its own has a
+cheaper form that is no such estimate for short or skewed texts: one draw a word, words dealt to
+``BINS`` bins by hash, each bin keeping its own winner and an empty one taking the next filled one's.
 
 The edited text needs the next document in descending ``doc_id``.  Ids are cut at approximate
 quantiles, each range is ordered by a window of its own, and a copy of each range's first row goes
@@ -30,6 +31,8 @@ from pyspark.sql import functions as F
 from phasewarp.llm.common import NO_ID, WORD, documents, shuffle_width
 
 BINS = 64
+#: Slots drawn side by side from one exploded row; divides BINS.
+ABREAST = 8
 MOST_RANGES = 4096
 SPLIT = "[" + WORD[2:-2] + "]+"
 _BITS = 31
@@ -44,17 +47,51 @@ def _uniform(h: Column, at: int) -> Column:
     return (F.shiftrightunsigned(h, at).bitwiseAND(F.lit((1 << _BITS) - 1)) + F.lit(0.5)) / F.lit(2.0**_BITS)
 
 
-def _packed(x: Column, n: Column) -> Column:
-    """bin | sampling value | 16 bits of the sample, of a word's hash and count; ordered within a
-    bin by the value.  All that is random about a word comes from hashes of it."""
-    one, two = F.xxhash64(x, F.lit(1)), F.xxhash64(x, F.lit(2))
+def _drawn(x: Column, log_n: Column, seed: Column) -> Column:
+    """Sampling value | 16 bits of the sample, of a word's hash and the logarithm of its count;
+    ordered by the value.  All that is random about a word comes from hashes of it with ``seed``
+    and the number after it."""
+    one, two = F.xxhash64(x, seed), F.xxhash64(x, seed + 1)
     r = -F.ln(_uniform(one, 0) * _uniform(one, _BITS))
     c = F.ln(-F.ln(_uniform(two, 0) * _uniform(two, _BITS)))
     b = _uniform(one.bitwiseXOR(two), 17)
-    t = F.floor(F.ln(n.cast("double")) / r + b)
+    t = F.floor(log_n / r + b)
     value = F.floor((c - r * (t - b + 1) + F.lit(512.0)) * F.lit(2.0**30))
-    sample = F.xxhash64(x, t).bitwiseAND(F.lit(65535))
-    return F.shiftleft(F.pmod(x, F.lit(BINS)), 57).bitwiseOR(F.shiftleft(value, 16)).bitwiseOR(sample)
+    return F.shiftleft(value, 16).bitwiseOR(F.xxhash64(x, t).bitwiseAND(F.lit(65535)))
+
+
+def _packed(x: Column, n: Column) -> Column:
+    """bin | the draw of a word's hash and count."""
+    return F.shiftleft(F.pmod(x, F.lit(BINS)), 57).bitwiseOR(_drawn(x, F.ln(n.cast("double")), F.lit(1)))
+
+
+def _counted(texts: DataFrame, keys: list[str]) -> DataFrame:
+    """``keys, x, n``: hash and count of each word of each row of ``texts(keys, t)``; a text
+    without words has the empty word."""
+    words = texts.select(*keys, F.explode(F.split("t", SPLIT)).alias("w")).select(*keys, F.xxhash64("w").alias("x"))
+    return words.groupBy(*keys, "x").agg(F.count("*").alias("n"))
+
+
+def slot_winners(texts: DataFrame, keys: list[str]) -> DataFrame:
+    """``keys, best``: the least draw of every slot over all words of each row of
+    ``texts(keys, t)``, in slot order; nulls for a text without words.
+
+    Where the rows are already dealt by one of the keys nothing shuffles.
+    """
+    none = F.xxhash64(F.lit(""))
+    rounds = F.explode(F.array(*[F.lit(k) for k in range(0, BINS, ABREAST)]))
+    counted = _counted(texts, keys).select(*keys, "x", F.ln(F.col("n").cast("double")).alias("log_n"), rounds.alias("slot"))
+    seed = lambda j: (F.col("slot") + j) * 2 + 1
+    names = [f"v{j}" for j in range(ABREAST)]
+    draws = [F.min(F.when(F.col("x") != none, _drawn(F.col("x"), F.col("log_n"), seed(j)))).alias(v) for j, v in enumerate(names)]
+    least = counted.groupBy(*keys, "slot").agg(*draws).select(*keys, F.struct("slot", F.array(*names).alias("v")).alias("s"))
+    return least.groupBy(*keys).agg(F.flatten(F.transform(F.sort_array(F.collect_list("s")), lambda s: s["v"])).alias("best"))
+
+
+def slot_signature(best: Column) -> Column:
+    """``BINS`` numbers of 16 bits as an array of smallint, from the winners of all slots."""
+    low = lambda v: F.coalesce(v, F.lit(0).cast("long")).bitwiseAND(F.lit(65535)).cast("int")
+    return F.transform(best, lambda v: F.when(low(v) > 32767, low(v) - 65536).otherwise(low(v)).cast("smallint"))
 
 
 def winners(texts: DataFrame, keys: list[str]) -> DataFrame:
@@ -64,8 +101,7 @@ def winners(texts: DataFrame, keys: list[str]) -> DataFrame:
     keeps its row with no winners: its one empty word has a null in place of a sample.
     """
     none = F.xxhash64(F.lit(""))
-    words = texts.select(*keys, F.explode(F.split("t", SPLIT)).alias("w")).select(*keys, F.xxhash64("w").alias("x"))
-    counted = words.groupBy(*keys, "x").agg(F.count("*").alias("n"))
+    counted = _counted(texts, keys)
     drawn = counted.select(*keys, F.pmod("x", F.lit(BINS)).alias("bin"), F.when(F.col("x") != none, _packed(F.col("x"), F.col("n"))).alias("packed"))
     least = drawn.groupBy(*keys, "bin").agg(F.min("packed").alias("packed"))
     return least.groupBy(*keys).agg(F.sort_array(F.collect_list("packed")).alias("best"))
@@ -140,8 +176,10 @@ def with_next(docs: DataFrame, parts: int | None = None) -> DataFrame:
     )
 
 
-def compare(docs: DataFrame, parts: int | None = None) -> DataFrame:
-    """Per row ``doc_id, n_chars, edited_sha256``, both fingerprints and both likenesses."""
+def compare(docs: DataFrame, parts: int | None = None, independent: bool = False) -> DataFrame:
+    """Per row ``doc_id, n_chars, edited_sha256``, both fingerprints and both likenesses; with
+    ``independent`` from draws of its own for every slot, else from bins."""
+    won, signed_by = (slot_winners, slot_signature) if independent else (winners, signature)
     n = F.length("text")
     third = F.floor(n / 3).cast("int")
     edited = F.concat(F.substring(F.col("text"), F.lit(1), (n - third)), F.substring(F.col("next_text"), F.lit(1), third))
@@ -151,8 +189,8 @@ def compare(docs: DataFrame, parts: int | None = None) -> DataFrame:
     texts = rows.select("part", "rid", F.explode(both).alias("e")).select("part", (F.col("rid") * 2 + F.col("e.v")).alias("at"), F.col("e.t").alias("t")).filter("t IS NOT NULL")
     order = Window.partitionBy("part").orderBy("at")
     signed = (
-        winners(texts, ["part", "at"])
-        .select("part", "at", signature(F.col("best")).alias("sig"))
+        won(texts, ["part", "at"])
+        .select("part", "at", signed_by(F.col("best")).alias("sig"))
         .select("part", "at", "sig", F.lead("sig", 1).over(order).alias("edited_sig"), F.lead("sig", 2).over(order).alias("next_sig"))
         .filter("at % 2 = 0 AND next_sig IS NOT NULL")
         .select(
@@ -168,4 +206,4 @@ def compare(docs: DataFrame, parts: int | None = None) -> DataFrame:
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return compare(documents(spark, sf_dir))
+    return compare(documents(spark, sf_dir), independent=True)

@@ -82,6 +82,43 @@ def test_collision_rate_is_the_generalised_jaccard(make_docs, rows):
     assert abs(np.mean(gaps)) < 0.04 and np.std(gaps) < 0.1
 
 
+def slow_slots(text):
+    words = Counter((text or "").split())
+    u = lambda h, at: ((h >> at & (2**31 - 1)) + 0.5) / 2**31
+    out = []
+    for slot in range(ws.BINS):
+        drawn = [(1 << 62, 0)]
+        for word, n in words.items():
+            x = xxhash.xxh64_intdigest(xx(word.encode()).to_bytes(8, "little"), 42)
+            one, two = (xxhash.xxh64_intdigest(k.to_bytes(4, "little"), x) for k in (2 * slot + 1, 2 * slot + 2))
+            r, c, b = -np.log(u(one, 0) * u(one, 31)), np.log(-np.log(u(two, 0) * u(two, 31))), u(one ^ two, 17)
+            t = int(np.floor(np.log(float(n)) / r + b))
+            drawn.append((c - r * (t - b + 1), xxhash.xxh64_intdigest(t.to_bytes(8, "little", signed=True), x) & 65535))
+        out.append(min(drawn)[1])
+    return out
+
+
+def test_query_estimates_skewed_and_short_texts(spark, make_docs, tmp_path):
+    rows, likeness = [], {}
+    for k in range(0, 80, 2):
+        if k < 40:
+            pair = ["same " * 1000 + " ".join(f"{side}{k}x{j}" for j in range(63)) for side in "ab"]
+        else:
+            pair = [f"p{k} p{k} p{k} q{k} {side}{k}" for side in "ab"]
+        rows += [(k + 1, pair[0], "s"), (k, pair[1], "s")]
+        a, b = map(Counter, map(str.split, pair))
+        likeness[k + 1] = sum((a & b).values()) / sum((a | b).values())
+    rows += [(200, None, "s"), (201, " ", "s")]
+    make_docs(rows).write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.doc_id: r for r in ws.query(spark, str(tmp_path)).collect()}
+    assert len(got) == len(rows) and got[200].fingerprint == got[201].fingerprint == "0" * 256
+    for of in (range(1, 40, 2), range(41, 80, 2)):
+        gaps = [got[k].near_next - likeness[k] for k in of]
+        assert abs(np.mean(gaps)) < 0.05 and np.std(gaps) < 0.12
+    right = [f"{a:04x}" == got[i].fingerprint[4 * k : 4 * k + 4] for i, t, _ in rows for k, a in enumerate(slow_slots(t))]
+    assert np.mean(right) >= 0.999
+
+
 def test_plan_is_native_and_empty_is_empty(spark, sf, make_docs):
     plan = ws.query(spark, sf)._jdf.queryExecution().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Cartesian" not in plan
