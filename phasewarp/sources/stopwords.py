@@ -1,24 +1,19 @@
-"""Stop lists: the lists that Spark's own feature package carries, read from its jar, so that no
-session is needed and no list is copied."""
+"""Stop lists, one file a language in ``lists``, so that neither a session nor Spark's jars are
+needed to name their words (origin and licence: ``lists/LICENCE.txt``)."""
 
 from __future__ import annotations
 
 import functools
-import zipfile
 from pathlib import Path
 
-#: Language codes of the tables and the names of Spark's lists.
-LANGUAGES = {"en": "english", "fr": "french", "de": "german", "es": "spanish"}
+#: Language codes of the tables that have a list.
+LANGUAGES = ("en", "fr", "de", "es")
+_LISTS = Path(__file__).with_name("lists")
 
 
 @functools.cache
 def stop_list(lang: str) -> tuple[str, ...]:
-    import pyspark
-
-    jar = next(Path(pyspark.__file__).parent.glob("jars/spark-mllib_*.jar"))
-    with zipfile.ZipFile(jar) as z:
-        text = z.read(f"org/apache/spark/ml/feature/stopwords/{LANGUAGES[lang]}.txt").decode("utf-8")
-    return tuple(sorted({w.strip().lower() for w in text.splitlines() if w.strip()}))
+    return tuple((_LISTS / f"{lang}.txt").read_text(encoding="utf-8").split())
 
 
 @functools.cache
