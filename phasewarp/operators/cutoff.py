@@ -57,12 +57,12 @@ def threshold(fit: DataFrame, fixed: float | None = None) -> DataFrame:
     return fit.withColumn("th", F.col("h") * F.pow("r_half", -F.col("alpha")))
 
 
-def kept_words(ranks: DataFrame, cutoff: DataFrame, scope: list[str], cut: str = "auto", at_least: int = 2, most: int = 2000) -> DataFrame:
+def kept_words(ranks: DataFrame, cutoff: DataFrame, scope: list[str], cut: str = "auto", at_least: int = 2, most: int | None = None) -> DataFrame:
     """Words that pass: ``scope, word, freq, rank, regime``.
 
     ``frequency``: freq >= th; ``rank``: rank <= r_half; ``auto``: the first, or the second where
-    it would keep fewer than ``at_least`` words.  Never more than ``most`` by rank.  The cut-off
-    has one row per series, which is what is broadcast.
+    it would keep fewer than ``at_least`` words.  All that pass stay, unless a caller asks for the
+    ``most`` first of them by rank.  The cut-off has one row per series, which is what is broadcast.
     """
     joined = ranks.join(F.broadcast(cutoff), scope)
     by_freq = F.col("freq") >= F.col("th") * (1 - SLACK)
@@ -78,6 +78,8 @@ def kept_words(ranks: DataFrame, cutoff: DataFrame, scope: list[str], cut: str =
         enough = F.col("_pass") >= at_least
         joined = joined.withColumn("regime", F.when(enough, F.col("regime")).otherwise("rank"))
         chosen = F.when(enough, by_freq).otherwise(by_rank)
+    if most is None:
+        return joined.filter(chosen).select(*scope, "word", "freq", "rank", "regime")
     cap = F.when((F.col("rank") == most) & chosen, 1)
     capped = joined.groupBy(*scope).agg(F.max(cap).alias("_cap"))
     return (
@@ -89,7 +91,7 @@ def kept_words(ranks: DataFrame, cutoff: DataFrame, scope: list[str], cut: str =
 
 
 def apply(words: DataFrame, kept: DataFrame, scope: list[str]) -> DataFrame:
-    """Phase words that pass; at most ``most`` words per series are broadcast by size or joined."""
+    """Phase words that pass; broadcast or joined by size."""
     return words.join(kept.select(*scope, "word"), [*scope, "word"], "left_semi")
 
 

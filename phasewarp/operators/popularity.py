@@ -23,7 +23,7 @@ class SwpConfig:
     support: str = "auto"
     th: float | None = None
     keep_at_least: int = 2
-    max_vocab: int = 2000
+    max_vocab: int | None = None
     beta: float = similarity.BETA
     gamma: float = similarity.GAMMA
     theta: float = wordrank.THETA
@@ -94,7 +94,8 @@ def semantic_weight(words: DataFrame, vectors: DataFrame, cfg: SwpConfig = SwpCo
     """From phase words and word vectors to the normalised series, with every stage on the way.
 
     The words left by the cut-off and their ranks are small and read by several stages, so their
-    lineage is cut there.
+    lineage is cut there.  Word pairs become rows (``links``) only where a caller reads them, with
+    the teleport over the whole event, and with the strategies ``grouped`` and ``joined``.
     """
     scope = list(cfg.scope)
     ranks_ = cutoff.ranked(frequency.vocabulary(words, scope), scope)
@@ -103,7 +104,9 @@ def semantic_weight(words: DataFrame, vectors: DataFrame, cfg: SwpConfig = SwpCo
     left = cut(cutoff.apply(words, kept, scope))
     both = left.select("event", "medium", "word").distinct()
     links = similarity.edges(both, vectors, ["event", "medium"], cfg.beta, cfg.gamma)
-    if strategy == "series":
+    if strategy == "series" and cfg.teleport == "phase":
+        tr = wordrank.rank_words(left, vectors, cfg.beta, cfg.gamma, cfg.theta, cfg.tol, cfg.max_iter)
+    elif strategy == "series":
         tr = wordrank.rank_series(links, left, cfg.theta, cfg.tol, cfg.max_iter, cfg.teleport)
     else:
         graph = similarity.phase_edges(links, left)
@@ -131,7 +134,7 @@ def word_stream(word_pop: DataFrame, top: int = 20, layout: str = "weighted_wigg
     the layers, weighted by their widths, are least.
     """
     series = ["event", "medium"]
-    order = Window.partitionBy(*series).orderBy(F.desc("_all"), "word")
+    order = Window.partitionBy(*series).orderBy(F.desc(F.round("_all", 6)), "word")  # ties as in any engine
     best = word_pop.groupBy(*series, "word").agg(F.sum("pop").alias("_all")).withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= top).drop("_all")
     at = word_pop.select(*series, "phase").distinct()
     full = best.join(at, series).join(word_pop.select(*KEYS, "word", "pop"), [*KEYS, "word"], "left").withColumn("pop", F.coalesce("pop", F.lit(0.0)))

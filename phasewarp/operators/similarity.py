@@ -81,13 +81,45 @@ def _character_rows(words: pd.Series) -> np.ndarray:
     return m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
 
 
+def with_vectors(kept: DataFrame, vectors: DataFrame, scope: list[str]) -> DataFrame:
+    return kept.select(*scope, "word").join(vectors, [c for c in ("event", "word") if c in vectors.columns], "left")
+
+
+class WordSimilarity:
+    """Positive similarities between the words of one series, as rows on demand: the whole matrix
+    is held up to ``HELD_WORDS`` words, beyond that rows are computed anew from the factors, so
+    memory stays linear in the words and no word is left out."""
+
+    HELD_WORDS = 4096
+    BLOCK = 1024
+
+    def __init__(self, pdf: pd.DataFrame, beta: float = BETA, gamma: float = GAMMA):
+        self.r, self.d, self.c = _unit_rows(pdf["vec_r"]), _unit_rows(pdf["vec_d"]), _character_rows(pdf["word"])
+        self.beta, self.gamma = beta, gamma
+        n = len(pdf)
+        self.whole = self._rows(np.arange(n), np.arange(n)) if n <= self.HELD_WORDS else None
+
+    def _rows(self, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        sem = self.beta * (self.r[i] @ self.r[j].T) + (1 - self.beta) * (self.d[i] @ self.d[j].T)
+        sim = self.gamma * sem + (1 - self.gamma) * (self.c[i] @ self.c[j].T)
+        sim[i[:, None] == j] = 0.0
+        return np.maximum(sim, 0.0, out=sim)
+
+    def blocks(self, at: np.ndarray):
+        """(first row, rows) of the matrix among the words ``at``."""
+        if self.whole is not None:
+            yield 0, self.whole[np.ix_(at, at)]
+            return
+        for k in range(0, len(at), self.BLOCK):
+            yield k, self._rows(at[k : k + self.BLOCK], at)
+
+
 def edges(kept: DataFrame, vectors: DataFrame, scope: list[str], beta: float = BETA, gamma: float = GAMMA, only_positive: bool = True) -> DataFrame:
     """``scope, w1, w2, sem, str, sim`` with w1 < w2, once per series, after the cut-off only.
 
-    A series has at most ``max_vocab`` words then, so its pairs are three matrix products in one
-    task; blocks of rows leave as they are done.
+    The pairs of a series are three matrix products in one task, a block of rows at a time.
     """
-    words = kept.select(*scope, "word").join(vectors, [c for c in ("event", "word") if c in vectors.columns], "left")
+    words = with_vectors(kept, vectors, scope)
 
     def run(keys, batches):
         pdf = pd.concat(list(batches)).sort_values("word", ignore_index=True)

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from phasewarp.operators.frames import plain
+from phasewarp.operators.similarity import BETA, GAMMA, WordSimilarity, with_vectors
 from phasewarp.sources.lineage import cut
 
 THETA = 0.85
@@ -81,6 +82,52 @@ def rank_series(links: DataFrame, words: DataFrame, theta: float = THETA, tol: f
     )
 
 
+def _scores(sim: WordSimilarity, at: np.ndarray, theta: float, tol: float, rounds: int) -> tuple[np.ndarray, np.ndarray]:
+    """(words of ``at`` that have an edge, their scores): the power iteration by matrix products."""
+    strength = np.concatenate([rows.sum(axis=1) for _, rows in sim.blocks(at)]) if len(at) else np.zeros(0)
+    at, strength = at[strength > 0], strength[strength > 0]
+    n = len(at)
+    held = list(sim.blocks(at)) if sim.whole is not None and n else None
+    score = np.full(n, 1.0 / n) if n else strength
+    for _ in range(rounds if n else 0):
+        flow = score / strength
+        fresh = np.empty(n)
+        for k, rows in held or sim.blocks(at):
+            fresh[k : k + len(rows)] = rows @ flow
+        fresh = (1 - theta) / n + theta * fresh
+        moved, score = np.abs(fresh - score).max(), fresh
+        if moved < tol:
+            break
+    return at, score
+
+
+def rank_words(words: DataFrame, vectors: DataFrame, beta: float = BETA, gamma: float = GAMMA, theta: float = THETA, tol: float = 1e-9, rounds: int = 200) -> DataFrame:
+    """``event, medium, phase, word, tr`` from the kept words of each phase and the word vectors.
+
+    Similarities and scores of a series are made in one task, so no pair of words ever becomes a
+    row; what leaves the task is linear in the words.  Memory is bounded by
+    :class:`similarity.WordSimilarity` whatever the vocabulary.
+    """
+    series = ["event", "medium"]
+
+    def run(told: pd.DataFrame, seen: pd.DataFrame) -> pd.DataFrame:
+        told = told.sort_values("word", ignore_index=True)
+        names = told["word"].to_numpy(object)
+        sim, number, out = WordSimilarity(told, beta, gamma), {w: k for k, w in enumerate(names)}, []
+        for phase, part in seen.groupby("phase"):
+            at, score = _scores(sim, np.sort(part["word"].map(number).to_numpy(np.int64)), theta, tol, rounds)
+            out.append(pd.DataFrame({"event": told["event"].iat[0], "medium": told["medium"].iat[0], "phase": np.int32(phase), "word": names[at], "tr": score}))
+        return plain(pd.concat(out, ignore_index=True))
+
+    told = with_vectors(words.select(*series, "word").distinct(), vectors, series)
+    told = told.select(*[F.col(c).alias(c) for c in told.columns])  # names of its own beside the other side's
+    return (
+        told.groupBy(*series)
+        .cogroup(words.select(*KEYS, "word").groupBy(*series))
+        .applyInPandas(run, "event string, medium string, phase int, word string, tr double")
+    )
+
+
 def rank_joined(graph: DataFrame, theta: float = THETA, tol: float = 1e-9, rounds: int = 100, teleport: str = "phase", every: int = 5) -> DataFrame:
     """The same by joins and sums for graphs beyond one task; lineage is cut every few rounds by a
     reliable checkpoint and the largest move is the only value that reaches the driver."""

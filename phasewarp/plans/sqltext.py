@@ -91,7 +91,7 @@ def fitted(scope: str = "event, medium", words: str = "pw", fixed: float | None
         f"fit1 AS (SELECT *, CASE WHEN {use} THEN {infinite} ELSE {short} END AS r_half, CASE WHEN {use} THEN 'infinite' ELSE 'truncated' END AS regime FROM fit0)",
         f"cutoff AS (SELECT * REPLACE ({regime} AS regime), {th} AS th FROM fit1)",
         f"joined AS (SELECT v.*, c.th, c.r_half, c.regime, sum(CASE WHEN v.freq >= c.th * (1 - 1e-9) AND v.rank <= 2 THEN 1 ELSE 0 END) OVER (PARTITION BY {', '.join('v.' + c.strip() for c in scope.split(','))}) >= 2 AS enough FROM voc v JOIN cutoff c ON {on})",
-        f"kept AS (SELECT {scope}, word, freq, rank FROM joined WHERE {passes} AND rank <= 2000)",
+        f"kept AS (SELECT {scope}, word, freq, rank FROM joined WHERE {passes})",
     ]
 
 

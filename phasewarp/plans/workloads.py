@@ -117,7 +117,7 @@ query("w5_noise_corpus", s.with_(*NOISE_SQL) + "SELECT event, CAST(phase AS INT)
 def w5_series(spark, d):
     records = held(text.prepare(noise_corpus(spark, d), stop="all"))
     words = held(frequency.phase_words(records))
-    cfg = popularity.SwpConfig(n_phases=6, cut="rank", support="truncated", max_vocab=60, tol=0.0, max_iter=30)
+    cfg = popularity.SwpConfig(n_phases=6, cut="rank", support="truncated", tol=0.0, max_iter=30)
     return {
         "swp": popularity.semantic_weight_series(words, vectors_of(spark, d, words), cfg),
         "naive": popularity.naive_series(words, 6),
@@ -171,7 +171,7 @@ def _(spark, d):
 
 # Measures by event
 query("w11_psi_a", summary_sql(swp_cells("wcw_1"), ["psi_a"]))(lambda spark, d: measured(spark, d, ["wcw_1"]).select("event", "method", *r6("psi_a")))
-query("w12_min_psi_s", summary_sql(swp_cells("wcw_1"), ["psi_s"]).replace("SELECT event, method,", "SELECT method, arg_min(event, psi_s) AS event, min(psi_s) AS psi_s FROM (SELECT event, method,") + ") GROUP BY method")(
+query("w12_min_psi_s", "SELECT method, arg_min(event, psi_s) AS event, min(psi_s) AS psi_s FROM (" + summary_sql(swp_cells("wcw_1"), ["psi_s"]) + ") GROUP BY method")(
     lambda spark, d: measured(spark, d, ["wcw_1"]).select("event", "method", *r6("psi_s")).groupBy("method").agg(F.min_by("event", "psi_s").alias("event"), F.min("psi_s").alias("psi_s"))
 )
 
@@ -182,7 +182,7 @@ def _lead_rank(df):
     return df.select("event", "method", *r6("lead_a")).withColumn("place", F.rank().over(Window.partitionBy("method").orderBy(F.desc("lead_a"))))
 
 
-query("w13_lead_rank", summary_sql(swp_cells("wcw", "wcw_1"), ["lead_a"]).replace("SELECT event, method,", "SELECT *, rank() OVER (PARTITION BY method ORDER BY lead_a DESC) AS place FROM (SELECT event, method,") + ")")(
+query("w13_lead_rank", "SELECT *, rank() OVER (PARTITION BY method ORDER BY lead_a DESC) AS place FROM (" + summary_sql(swp_cells("wcw", "wcw_1"), ["lead_a"]) + ")")(
     lambda spark, d: _lead_rank(measured(spark, d, ["wcw", "wcw_1"]))
 )
 PERIODIC = s.with_(*naive_sql(PERIODIC_SCENARIO), *PEAKS)
@@ -197,7 +197,7 @@ query("w16_shift", summary_sql(swp_cells("dtw", "cw", "wcw", scenario=SHIFT_SCEN
 
 # Word stream
 _STREAM = [
-    "best AS (SELECT * FROM (SELECT event, medium, word, row_number() OVER (PARTITION BY event, medium ORDER BY round(sum(pop), 6) DESC, word) AS rank FROM wp GROUP BY ALL) WHERE rank <= 20)",
+    "best AS (SELECT event, medium, word, rank FROM (SELECT *, row_number() OVER (PARTITION BY event, medium ORDER BY round(pops, 6) DESC, word) AS rank FROM (SELECT event, medium, word, sum(pop) AS pops FROM wp GROUP BY event, medium, word)) WHERE rank <= 20)",
     "full0 AS (SELECT b.*, p.phase, coalesce(w.pop, 0.0::DOUBLE) AS pop FROM best b JOIN (SELECT DISTINCT event, medium, phase FROM wp) p USING (event, medium) LEFT JOIN wp w USING (event, medium, phase, word))",
 ]
 
