@@ -18,19 +18,22 @@ like any others; extra columns pass through; an empty table gives an empty table
 
 from __future__ import annotations
 
+import array
 import functools
 import json
 import re
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from phasewarp.llm.common import documents
 
-CACHE_CHUNKS = 200_000
-CACHE_BYTES = 32 << 20
+GENERATION = 200_000
+MOST_PAIRS = 300_000
+LONGEST_KEY = 128
 BATCH_IDS = 2_000_000
 _ASCII_WS = r" \t\n\r\x0b\x0c"
 #: White space of Unicode outside ASCII.
@@ -47,6 +50,27 @@ def byte_alphabet() -> dict[str, int]:
     return table | {chr(256 + k): b for k, b in enumerate(rest)}
 
 
+class Remembered(dict):
+    """Values of ``make`` by key in two generations: when the young one is full it becomes the old
+    one, and what is asked for again moves over, so frequent keys stay and memory is bounded.  Long
+    keys are made anew each time."""
+
+    def __init__(self, make, most: int = GENERATION):
+        super().__init__()
+        self.make, self.most, self.old = make, most, {}
+
+    def __missing__(self, key: str):
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
+        if len(key) <= LONGEST_KEY:
+            if len(self) >= self.most:
+                self.old = dict(self)
+                self.clear()
+            self[key] = value
+        return value
+
+
 class BacktrackingBpe:
     def __init__(self, path: str):
         import ahocorasick
@@ -63,6 +87,12 @@ class BacktrackingBpe:
         for k, pair in enumerate(spec["model"]["merges"]):
             a, b = pair.split(" ") if isinstance(pair, str) else pair
             self.rank[raw(a), raw(b)] = k
+        self.halves, self.made_at, self.joins = {}, {}, {}
+        for (a, b), k in self.rank.items():
+            x, y, z = self.id_of[a], self.id_of[b], self.id_of[a + b]
+            self.joins[x, y] = k
+            if z not in self.made_at:
+                self.halves[z], self.made_at[z] = (x, y), k
         self.automaton = ahocorasick.Automaton()
         for b, i in self.id_of.items():
             if len(b) == 1 or self.merge(b) == [i]:
@@ -77,8 +107,9 @@ class BacktrackingBpe:
         parts = [self.bytes_of.get(i, b"") for i in range(size)]
         self.offsets = np.concatenate(([0], np.cumsum([len(p) for p in parts]))).astype(np.int64)
         self.table = np.frombuffer(b"".join(parts), np.uint8)
-        self.known: dict[str, bytes] = {}
-        self.held = 0
+        self.size_of = {i: len(b) for i, b in self.bytes_of.items()}
+        self.chunks = Remembered(self._chunk)
+        self.pieces = Remembered(self._piece)
 
     def merge(self, data: bytes) -> list[int]:
         """The definition: repeatedly merge the pair of lowest rank, leftmost first."""
@@ -102,11 +133,33 @@ class BacktrackingBpe:
     def compatible(self, a: int, b: int) -> bool:
         found = self.pairs.get((a, b))
         if found is None:
-            if len(self.pairs) > 1_000_000:
+            if len(self.pairs) >= MOST_PAIRS:
                 self.pairs.clear()
-            found = self.pairs[a, b] = self.merge(self.bytes_of[a] + self.bytes_of[b]) == [a, b]
+            found = self.pairs[a, b] = self._stays_apart(a, b)
         return found
 
+    def _stays_apart(self, a: int, b: int) -> bool:
+        """Whether merging the joined bytes of two tokens ends in just these two.
+
+        Their merges are undone from the seam outwards, the later one first.  At each step the two
+        parts that face each other across the seam must not have a merge of their own that comes
+        before the one just undone, for it would have crossed the seam.
+        """
+        rank, halves, joins = self.made_at, self.halves, self.joins
+        undone, by_left = len(self.rank), False
+        while True:
+            joined = joins.get((a, b))
+            # on equal rank the leftmost pair merges first: the left token's own pair, but the seam before the right one's
+            if joined is not None and (joined < undone or joined == undone and not by_left):
+                return False
+            x, y = rank.get(a, -1), rank.get(b, -1)
+            if x < 0 and y < 0:
+                return True
+            if x > y:
+                undone, by_left, a = x, True, halves[a][1]
+            else:
+                undone, by_left, b = y, False, halves[b][0]
+
     def prefix_token(self, token: int) -> int | None:
         """The longest token that is a proper prefix of this one."""
         if token not in self.shorter:
@@ -115,46 +168,52 @@ class BacktrackingBpe:
         return self.shorter[token]
 
     def encode_piece(self, data: bytes) -> list[int]:
-        n = len(data)
-        longest: list[tuple[int, int] | None] = [None] * n
-        for end, (token, size) in self.automaton.iter(data.decode("latin-1")):
-            at = end + 1 - size
-            if longest[at] is None or longest[at][1] < size:
-                longest[at] = (token, size)
+        text, compatible = data.decode("latin-1"), self.compatible
+        # mostly every longest match stands beside the one before it, and the walk below would take just these
+        out: list[int] = []
+        at, last = 0, -1
+        for end, (token, size) in self.automaton.iter_long(text):
+            if end + 1 != at + size or last >= 0 and not compatible(last, token):
+                break
+            out.append(token)
+            at, last = end + 1, token
+        return out if at == len(data) else self._walk(text)
+
+    def _walk(self, text: str) -> list[int]:
+        n, sizes, compatible = len(text), self.size_of, self.compatible
+        longest: list[int | None] = [None] * n
+        for end, (token, size) in self.automaton.iter(text):
+            longest[end + 1 - size] = token  # of one start, later ends are longer
         dead = bytearray(n + 1)
         out: list[int] = []
-        at = 0
-        token: int | None = longest[0][0] if n else None
+        at, token = 0, longest[0]
         while at < n:
             while token is not None:
-                end = at + len(self.bytes_of[token])
-                if not dead[end] and (not out or self.compatible(out[-1], token)):
+                end = at + sizes[token]
+                if not dead[end] and (not out or compatible(out[-1], token)):
                     break
                 token = self.prefix_token(token)
             if token is None:
                 dead[at] = 1
                 last = out.pop()
-                at -= len(self.bytes_of[last])
+                at -= sizes[last]
                 token = self.prefix_token(last)
                 continue
             out.append(token)
             at = end
-            token = longest[at][0] if at < n else None
+            token = longest[at] if at < n else None
         return out
 
+    def _piece(self, piece: str) -> bytes:
+        return array.array("i", self.encode_piece(piece.encode("utf-8", "replace"))).tobytes()
+
     def _chunk(self, chunk: str) -> bytes:
-        ids = [i for piece in self.split(chunk) for i in self.encode_piece(piece.encode("utf-8", "replace"))]
-        data = np.array(ids, "<i4").tobytes()
-        if len(self.known) >= CACHE_CHUNKS or self.held > CACHE_BYTES:
-            self.known, self.held = {}, 0
-        self.known[chunk] = data
-        self.held += len(chunk) + len(data)
-        return data
+        parts = self.split(chunk)
+        return self.pieces[chunk] if len(parts) == 1 else b"".join(map(self.pieces.__getitem__, parts))
 
     def _plain(self, text: str) -> bytes:
         chunks = self.split(text) if _OTHER_WS.search(text) else _CHUNK.findall(text)
-        get = self.known.get
-        return b"".join([get(c) or self._chunk(c) for c in chunks])
+        return b"".join(map(self.chunks.__getitem__, chunks))
 
     def encode(self, text: str | None) -> bytes:
         """Ids as little-endian 32-bit bytes."""
@@ -197,7 +256,7 @@ def _encode_batches(path: str, text: str, ids: str):
         bpe = model(path)
         for b in batches:
             column = b.column(text)
-            for x, y in _slices(b, [len(t.as_py() or "") for t in column]):
+            for x, y in _slices(b, pc.fill_null(pc.binary_length(column), 0).to_pylist()):
                 data = [bpe.encode(t.as_py()) for t in column.slice(x, y - x)]
                 offsets = np.concatenate(([0], np.cumsum([len(d) // 4 for d in data]))).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(b"".join(data), "<i4"), pa.int32()))
