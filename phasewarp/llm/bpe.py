@@ -71,16 +71,40 @@ class Remembered(dict):
         return value
 
 
-class BacktrackingBpe:
-    def __init__(self, path: str):
-        import ahocorasick
-        import regex
+class Vocabulary:
+    """Tokens of a byte-level BPE file and the offset table that decodes them."""
 
+    def __init__(self, path: str):
         with open(path, encoding="utf-8") as f:
-            spec = json.load(f)
+            self.read(json.load(f))
+
+    def read(self, spec: dict) -> None:
         byte_of = byte_alphabet()
-        raw = lambda token: bytes(byte_of[c] for c in token)
+        self.raw = lambda token: bytes(byte_of[c] for c in token)
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
+        bytes_of = {i: self.raw(t) for t, i in spec["model"]["vocab"].items() if t not in self.special}
+        bytes_of |= {i: t.encode() for t, i in self.special.items()}
+        parts = [bytes_of.get(i, b"") for i in range(max(bytes_of) + 1)]
+        self.offsets = np.concatenate(([0], np.cumsum([len(p) for p in parts]))).astype(np.int64)
+        self.table = np.frombuffer(b"".join(parts), np.uint8)
+
+    def decode(self, ids: np.ndarray) -> bytes:
+        """Bytes of the ids, gathered from the table at each id's offset."""
+        if not len(ids):
+            return b""
+        starts = self.offsets[ids]
+        sizes = self.offsets[ids + 1] - starts
+        ends = np.cumsum(sizes)
+        return self.table[np.repeat(starts - (ends - sizes), sizes) + np.arange(ends[-1])].tobytes()
+
+
+class BacktrackingBpe(Vocabulary):
+    def read(self, spec: dict) -> None:
+        import ahocorasick
+        import regex
+
+        super().read(spec)
+        raw = self.raw
         self.id_of = {raw(t): i for t, i in spec["model"]["vocab"].items() if t not in self.special}
         self.bytes_of = {i: b for b, i in self.id_of.items()} | {i: t.encode() for t, i in self.special.items()}
         self.rank = {}
@@ -103,10 +127,6 @@ class BacktrackingBpe:
         ws = _ASCII_WS + _WIDE_WS
         self.split = regex.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{ws}\p{{L}}\p{{N}}]+|[{ws}]+(?![^{ws}])|[{ws}]+").findall
         self.specials = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
-        size = max(self.bytes_of) + 1
-        parts = [self.bytes_of.get(i, b"") for i in range(size)]
-        self.offsets = np.concatenate(([0], np.cumsum([len(p) for p in parts]))).astype(np.int64)
-        self.table = np.frombuffer(b"".join(parts), np.uint8)
         self.size_of = {i: len(b) for i, b in self.bytes_of.items()}
         self.chunks = Remembered(self._chunk)
         self.pieces = Remembered(self._piece)
@@ -223,21 +243,17 @@ class BacktrackingBpe:
             return self._plain(text)
         return b"".join(np.array([self.special[p]], "<i4").tobytes() if p in self.special else self._plain(p) for p in self.specials.split(text) if p)
 
-    def decode(self, ids: np.ndarray) -> bytes:
-        """Bytes of the ids, gathered from the table at each id's offset."""
-        if not len(ids):
-            return b""
-        starts = self.offsets[ids]
-        sizes = self.offsets[ids + 1] - starts
-        ends = np.cumsum(sizes)
-        return self.table[np.repeat(starts - (ends - sizes), sizes) + np.arange(ends[-1])].tobytes()
-
 
 @functools.lru_cache(2)
 def model(path: str) -> BacktrackingBpe:
     return BacktrackingBpe(path)
 
 
+@functools.lru_cache(2)
+def vocabulary(path: str) -> Vocabulary:
+    return Vocabulary(path)
+
+
 def _slices(b: pa.RecordBatch, weights) -> list[tuple[int, int]]:
     """Row ranges of a batch whose weights sum to a bounded amount."""
     out, at, held = [], 0, 0
@@ -267,13 +283,13 @@ def _encode_batches(path: str, text: str, ids: str):
 
 def _decode_batches(path: str, ids: str, text: str):
     def run(batches):
-        bpe = model(path)
+        words = vocabulary(path)
         for b in batches:
             column = b.column(ids)
             for x, y in _slices(b, np.diff(column.offsets.to_numpy()).tolist() if b.num_rows else []):
                 part = column.slice(x, y - x)
                 offsets, values = part.offsets.to_numpy(), part.values.to_numpy(zero_copy_only=False)
-                texts = [bpe.decode(values[p:q]).decode("utf-8", "replace") for p, q in zip(offsets[:-1].tolist(), offsets[1:].tolist())]
+                texts = [words.decode(values[p:q]).decode("utf-8", "replace") for p, q in zip(offsets[:-1].tolist(), offsets[1:].tolist())]
                 yield pa.RecordBatch.from_arrays([*b.slice(x, y - x).columns, pa.array(texts, pa.string())], names=[*b.schema.names, text])
 
     return run

@@ -18,15 +18,18 @@ NO_ID = -(2**63)
 
 def shared_folder(spark: SparkSession) -> str:
     """A fresh folder under ``spark.checkpoint.dir``.  Where neither the session nor its
-    context names one (tests), a folder of this machine is set once."""
+    context names one, a folder of this machine is set once if the session runs on this machine
+    alone; on a cluster that is an error, since executors would not see each other's files."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         known = spark.sparkContext._jsc.sc().getCheckpointDir()
         if known.isDefined():
             base = known.get()
-        else:
+        elif spark.sparkContext.master.startswith("local") and not spark.sparkContext.master.startswith("local-cluster"):
             base = "file://" + tempfile.mkdtemp(prefix="phasewarp-")
             spark.sparkContext.setCheckpointDir(base)
+        else:
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     return f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}"
 
 
@@ -56,7 +59,10 @@ def ascii_lower(text: Column) -> Column:
 def release() -> None:
     """Hand freed memory back to the system at the end of a Python task: idle workers are kept for
     the next stage and would otherwise hold what this one needed."""
+    import pyarrow as pa
+
     gc.collect()
+    pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
     except (OSError, AttributeError):  # another C library
