@@ -5,10 +5,9 @@ give r and c, each Gamma(2, 1), and b uniform: t = floor(ln w / r + b) and the s
 ln a = ln c - r (t - b + 1).  The word with the least value wins and its sample is (word, t); two
 bags agree on it with probability equal to their generalised Jaccard similarity.
 
-The query draws (r, c, b) anew for each of its ``BINS`` slots and keeps in each the least value over
-all words, so every slot is a sample of its own of the whole bag.  :func:`compare` on its own has a
-cheaper form that is no such estimate for short or skewed texts: one draw a word, words dealt to
-``BINS`` bins by hash, each bin keeping its own winner and an empty one taking the next filled one's.
+Each of the ``BINS`` slots has draws (r, c, b) of its own for every word and keeps the least value
+over all words, so every slot is a sample of the whole bag.  A draw depends on the word alone, and a
+text and its edited form share most words, so both are sampled from the same draws.
 
 The edited text needs the next document in descending ``doc_id``.  Ids are cut at approximate
 quantiles, each range is ordered by a window of its own, and a copy of each range's first row goes
@@ -32,10 +31,12 @@ from phasewarp.llm.common import NO_ID, WORD, documents, shuffle_width
 
 BINS = 64
 #: Slots drawn side by side from one exploded row; divides BINS.
-ABREAST = 8
+ABREAST = 4
 MOST_RANGES = 4096
 SPLIT = "[" + WORD[2:-2] + "]+"
 _BITS = 31
+#: Added to the sampling value of the empty word, which stands for no word.
+_LATE = 1 << 44
 
 
 def _let(value: Column, body) -> Column:
@@ -44,48 +45,47 @@ def _let(value: Column, body) -> Column:
 
 
 def _uniform(h: Column, at: int) -> Column:
-    return (F.shiftrightunsigned(h, at).bitwiseAND(F.lit((1 << _BITS) - 1)) + F.lit(0.5)) / F.lit(2.0**_BITS)
-
-
-def _drawn(x: Column, log_n: Column, seed: Column) -> Column:
-    """Sampling value | 16 bits of the sample, of a word's hash and the logarithm of its count;
-    ordered by the value.  All that is random about a word comes from hashes of it with ``seed``
-    and the number after it."""
-    one, two = F.xxhash64(x, seed), F.xxhash64(x, seed + 1)
-    r = -F.ln(_uniform(one, 0) * _uniform(one, _BITS))
-    c = F.ln(-F.ln(_uniform(two, 0) * _uniform(two, _BITS)))
-    b = _uniform(one.bitwiseXOR(two), 17)
-    t = F.floor(log_n / r + b)
-    value = F.floor((c - r * (t - b + 1) + F.lit(512.0)) * F.lit(2.0**30))
-    return F.shiftleft(value, 16).bitwiseOR(F.xxhash64(x, t).bitwiseAND(F.lit(65535)))
-
-
-def _packed(x: Column, n: Column) -> Column:
-    """bin | the draw of a word's hash and count."""
-    return F.shiftleft(F.pmod(x, F.lit(BINS)), 57).bitwiseOR(_drawn(x, F.ln(n.cast("double")), F.lit(1)))
+    return (F.shiftrightunsigned(h, at).bitwiseAND(F.lit((1 << _BITS) - 1)) + F.lit(0.5)) * F.lit(2.0**-_BITS)
 
 
-def _counted(texts: DataFrame, keys: list[str]) -> DataFrame:
-    """``keys, x, n``: hash and count of each word of each row of ``texts(keys, t)``; a text
-    without words has the empty word."""
-    words = texts.select(*keys, F.explode(F.split("t", SPLIT)).alias("w")).select(*keys, F.xxhash64("w").alias("x"))
-    return words.groupBy(*keys, "x").agg(F.count("*").alias("n"))
+def _packed_draw(x: Column, log_c: Column, r: Column, b: Column, t: Column, late: Column) -> Column:
+    """Sampling value | 16 bits of the sample, ordered by the value; ``late`` moves it behind all others."""
+    value = F.floor((log_c - r * (t - b + 1) + F.lit(512.0)) * F.lit(2.0**30)) + late
+    return F.shiftleft(value, 16).bitwiseOR(F.xxhash64(x, t).bitwiseAND(F.lit(65535)))
 
 
-def slot_winners(texts: DataFrame, keys: list[str]) -> DataFrame:
-    """``keys, best``: the least draw of every slot over all words of each row of
-    ``texts(keys, t)``, in slot order; nulls for a text without words.
+def slot_winners(texts: DataFrame, keys: list[str], versions: int = 1) -> DataFrame:
+    """``keys, best0, best1, ...``: the least draw of every slot, in slot order, over all words of
+    each row's texts; ``texts(keys, v, t)`` has a row for each of its versions v = 0, 1, ...  Nulls
+    for a text without words.
 
-    Where the rows are already dealt by one of the keys nothing shuffles.
+    Where the rows are already dealt by one of the keys nothing shuffles.  Draws are made in steps
+    whose columns hold the parts that several expressions use, ``ABREAST`` slots to a row: more
+    would make the generated method too long to be compiled.
     """
-    none = F.xxhash64(F.lit(""))
+    col, at, every = F.col, range(ABREAST), range(versions)
+    words = texts.select(*keys, "v", F.explode(F.split("t", SPLIT)).alias("w")).select(*keys, "v", F.xxhash64("w").alias("x"))
+    counts = words.groupBy(*keys, "x").agg(*[F.sum((col("v") == v).cast("int")).cast("double").alias(f"n{v}") for v in every])
+    late = F.when(col("x") == F.xxhash64(F.lit("")), F.lit(_LATE)).otherwise(F.lit(0).cast("long"))
+    # the logarithm of 0 is null, and so is what a version draws for a word that it lacks
+    held = [*keys, "x", "late", "slot", *[f"log_n{v}" for v in every]]
     rounds = F.explode(F.array(*[F.lit(k) for k in range(0, BINS, ABREAST)]))
-    counted = _counted(texts, keys).select(*keys, "x", F.ln(F.col("n").cast("double")).alias("log_n"), rounds.alias("slot"))
-    seed = lambda j: (F.col("slot") + j) * 2 + 1
-    names = [f"v{j}" for j in range(ABREAST)]
-    draws = [F.min(F.when(F.col("x") != none, _drawn(F.col("x"), F.col("log_n"), seed(j)))).alias(v) for j, v in enumerate(names)]
-    least = counted.groupBy(*keys, "slot").agg(*draws).select(*keys, F.struct("slot", F.array(*names).alias("v")).alias("s"))
-    return least.groupBy(*keys).agg(F.flatten(F.transform(F.sort_array(F.collect_list("s")), lambda s: s["v"])).alias("best"))
+    rows = counts.select(*keys, "x", late.alias("late"), *[F.ln(f"n{v}").alias(f"log_n{v}") for v in every]).select("*", rounds.alias("slot"))
+    spread = lambda name: _uniform(col(name), 0) * _uniform(col(name), _BITS)
+    rows = rows.select(*held, *[F.xxhash64("x", (col("slot") + j) * 2 + k).alias(f"{n}{j}") for j in at for k, n in ((1, "one"), (2, "two"))])
+    rows = rows.select(
+        *held,
+        *[(-F.ln(spread(f"one{j}"))).alias(f"r{j}") for j in at],
+        *[F.ln(-F.ln(spread(f"two{j}"))).alias(f"c{j}") for j in at],
+        *[_uniform(col(f"one{j}").bitwiseXOR(col(f"two{j}")), 17).alias(f"b{j}") for j in at],
+    )
+    rows = rows.select("*", *[F.floor(col(f"log_n{v}") / col(f"r{j}") + col(f"b{j}")).alias(f"t{v}_{j}") for v in every for j in at])
+    draw = lambda v, j: _packed_draw(col("x"), col(f"c{j}"), col(f"r{j}"), col(f"b{j}"), col(f"t{v}_{j}"), col("late"))
+    least = rows.groupBy(*keys, "slot").agg(*[F.min(draw(v, j)).alias(f"v{v}_{j}") for v in every for j in at])
+    parts = least.select(*keys, F.struct("slot", *[F.array(*[f"v{v}_{j}" for j in at]).alias(f"v{v}") for v in every]).alias("s"))
+    found = parts.groupBy(*keys).agg(F.sort_array(F.collect_list("s")).alias("s"))
+    known = lambda x: F.when(x < F.lit(_LATE << 16), x)
+    return found.select(*keys, *[F.transform(F.flatten(F.col(f"s.v{v}")), known).alias(f"best{v}") for v in every])
 
 
 def slot_signature(best: Column) -> Column:
@@ -94,43 +94,6 @@ def slot_signature(best: Column) -> Column:
     return F.transform(best, lambda v: F.when(low(v) > 32767, low(v) - 65536).otherwise(low(v)).cast("smallint"))
 
 
-def winners(texts: DataFrame, keys: list[str]) -> DataFrame:
-    """``keys, best``: the packed winners of the filled bins of each row of ``texts(keys, t)``.
-
-    Where the rows are already dealt by one of the keys nothing shuffles.  A text without words
-    keeps its row with no winners: its one empty word has a null in place of a sample.
-    """
-    none = F.xxhash64(F.lit(""))
-    counted = _counted(texts, keys)
-    drawn = counted.select(*keys, F.pmod("x", F.lit(BINS)).alias("bin"), F.when(F.col("x") != none, _packed(F.col("x"), F.col("n"))).alias("packed"))
-    least = drawn.groupBy(*keys, "bin").agg(F.min("packed").alias("packed"))
-    return least.groupBy(*keys).agg(F.sort_array(F.collect_list("packed")).alias("best"))
-
-
-def _bin(packed: Column) -> Column:
-    return F.shiftrightunsigned(packed, 57)
-
-
-def signature(best: Column) -> Column:
-    """``BINS`` numbers of 16 bits as an array of smallint, from the winners in bin order."""
-    one = F.lit(1).cast("long")
-
-    def dense(m: Column) -> Column:
-        filled = F.aggregate(m, F.lit(0).cast("long"), lambda acc, v: acc.bitwiseOR(F.call_function("shiftleft", one, _bin(v).cast("int"))))
-        return _let(
-            filled,
-            lambda mask: F.transform(
-                F.sequence(F.lit(0), F.lit(BINS - 1)),
-                lambda b: F.get(m, F.pmod(F.bit_count(mask.bitwiseAND(F.bitwise_not(F.call_function("shiftleft", F.lit(-1).cast("long"), b)))), F.size(m)))
-                .bitwiseAND(F.lit(65535))
-                .cast("int"),
-            ),
-        )
-
-    packed = F.when(F.size(best) == 0, F.array_repeat(F.lit(0), BINS)).otherwise(dense(best))
-    return F.transform(packed, lambda v: F.when(v > 32767, v - 65536).otherwise(v).cast("smallint"))
-
-
 def as_text(sig: Column) -> Column:
     return F.array_join(F.transform(sig, lambda v: F.lower(F.lpad(F.hex(v.cast("int").bitwiseAND(F.lit(65535))), 4, "0"))), "")
 
@@ -176,25 +139,22 @@ def with_next(docs: DataFrame, parts: int | None = None) -> DataFrame:
     )
 
 
-def compare(docs: DataFrame, parts: int | None = None, independent: bool = False) -> DataFrame:
-    """Per row ``doc_id, n_chars, edited_sha256``, both fingerprints and both likenesses; with
-    ``independent`` from draws of its own for every slot, else from bins."""
-    won, signed_by = (slot_winners, slot_signature) if independent else (winners, signature)
+def compare(docs: DataFrame, parts: int | None = None) -> DataFrame:
+    """Per row ``doc_id, n_chars, edited_sha256``, both fingerprints and both likenesses."""
     n = F.length("text")
     third = F.floor(n / 3).cast("int")
     edited = F.concat(F.substring(F.col("text"), F.lit(1), (n - third)), F.substring(F.col("next_text"), F.lit(1), third))
     rows = with_next(docs, parts).withColumn("edited", F.when(F.col("guest") == 0, edited))
-    # a range's rows in order: text, edited, text, edited, ..., the guest's text
     both = F.array(F.struct(F.lit(0).alias("v"), F.col("text").alias("t")), F.struct(F.lit(1).alias("v"), F.col("edited").alias("t")))
-    texts = rows.select("part", "rid", F.explode(both).alias("e")).select("part", (F.col("rid") * 2 + F.col("e.v")).alias("at"), F.col("e.t").alias("t")).filter("t IS NOT NULL")
-    order = Window.partitionBy("part").orderBy("at")
+    texts = rows.select("part", "rid", F.explode(both).alias("e")).select("part", "rid", "e.v", "e.t").filter("t IS NOT NULL")
+    order = Window.partitionBy("part").orderBy("rid")
     signed = (
-        won(texts, ["part", "at"])
-        .select("part", "at", signed_by(F.col("best")).alias("sig"))
-        .select("part", "at", "sig", F.lead("sig", 1).over(order).alias("edited_sig"), F.lead("sig", 2).over(order).alias("next_sig"))
-        .filter("at % 2 = 0 AND next_sig IS NOT NULL")
+        slot_winners(texts, ["part", "rid"], 2)
+        .select("part", "rid", slot_signature(F.col("best0")).alias("sig"), slot_signature(F.col("best1")).alias("edited_sig"))
+        .withColumn("next_sig", F.lead("sig").over(order))
+        .filter("next_sig IS NOT NULL")  # a range's last row is a guest
         .select(
-            "part", F.expr("at div 2").alias("rid"),
+            "part", "rid",
             as_text(F.col("sig")).alias("fingerprint"),
             as_text(F.col("edited_sig")).alias("edited_fingerprint"),
             likeness(F.col("sig"), F.col("edited_sig")).alias("near_edited"),
@@ -206,4 +166,4 @@ def compare(docs: DataFrame, parts: int | None = None, independent: bool = False
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return compare(documents(spark, sf_dir), independent=True)
+    return compare(documents(spark, sf_dir))

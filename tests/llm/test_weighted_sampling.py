@@ -13,29 +13,20 @@ def xx(value, seed=42):
     return xxhash.xxh64_intdigest(value, seed)
 
 
-def long_hash(value, seed=42):
-    """XXH64 of one 8-byte number, then of the next arguments with the hash as seed."""
-    return xxhash.xxh64_intdigest(int(value).to_bytes(8, "little", signed=value < 2**63), seed)
-
-
-def slow_signature(text):
-    words = Counter(w for w in (text or "").replace("\t", " ").replace("\n", " ").replace("\x0b", " ").replace("\x0c", " ").replace("\r", " ").split(" ") if w)
-    if not words:
-        return [0] * ws.BINS
-    signed = lambda v: v - 2**64 if v >= 2**63 else v
+def slow_slots(text):
+    words = Counter((text or "").split())
     u = lambda h, at: ((h >> at & (2**31 - 1)) + 0.5) / 2**31
-    best = {}
-    for word, n in words.items():
-        x = xx(word.encode())
-        h = [xxhash.xxh64_intdigest(int(k).to_bytes(4, "little"), xxhash.xxh64_intdigest(x.to_bytes(8, "little"), 42)) for k in (1, 2)]
-        r, c, b = -np.log(u(h[0], 0) * u(h[0], 31)), np.log(-np.log(u(h[1], 0) * u(h[1], 31))), u(h[0] ^ h[1], 17)
-        t = int(np.floor(np.log(float(n)) / r + b))
-        value = int(np.floor((c - r * (t - b + 1) + 512.0) * 2.0**30))
-        sample = xxhash.xxh64_intdigest(t.to_bytes(8, "little", signed=True), xxhash.xxh64_intdigest(x.to_bytes(8, "little"), 42)) & 65535
-        place = signed(x) % ws.BINS
-        best[place] = min(best.get(place, (1 << 62, 0)), (value, sample))
-    filled = sorted(best)
-    return [best[next((f for f in filled if f >= k), filled[0])][1] for k in range(ws.BINS)]
+    out = []
+    for slot in range(ws.BINS):
+        drawn = [(1 << 62, 0)]
+        for word, n in words.items():
+            x = xxhash.xxh64_intdigest(xx(word.encode()).to_bytes(8, "little"), 42)
+            one, two = (xxhash.xxh64_intdigest(k.to_bytes(4, "little"), x) for k in (2 * slot + 1, 2 * slot + 2))
+            r, c, b = -np.log(u(one, 0) * u(one, 31)), np.log(-np.log(u(two, 0) * u(two, 31))), u(one ^ two, 17)
+            t = int(np.floor(np.log(float(n)) / r + b))
+            drawn.append((c - r * (t - b + 1), xxhash.xxh64_intdigest(t.to_bytes(8, "little", signed=True), x) & 65535))
+        out.append(min(drawn)[1])
+    return out
 
 
 @pytest.fixture(scope="module")
@@ -60,7 +51,7 @@ def test_matches_brute_force(make_docs, rows):
         # rows with one id and text come in either order
         t, edited, nxt = next((v for v in by[g.doc_id] if hashlib.sha256(v[1].encode()).hexdigest() == g.edited_sha256), by[g.doc_id][0])
         assert g.n_chars == len(t) and g.edited_sha256 == hashlib.sha256(edited.encode()).hexdigest()
-        want = [f"{v:04x}" for v in slow_signature(t)]
+        want = [f"{v:04x}" for v in slow_slots(t)]
         have = [g.fingerprint[4 * k : 4 * k + 4] for k in range(ws.BINS)]
         exact += sum(a == b for a, b in zip(want, have))
         total += ws.BINS
@@ -82,22 +73,6 @@ def test_collision_rate_is_the_generalised_jaccard(make_docs, rows):
     assert abs(np.mean(gaps)) < 0.04 and np.std(gaps) < 0.1
 
 
-def slow_slots(text):
-    words = Counter((text or "").split())
-    u = lambda h, at: ((h >> at & (2**31 - 1)) + 0.5) / 2**31
-    out = []
-    for slot in range(ws.BINS):
-        drawn = [(1 << 62, 0)]
-        for word, n in words.items():
-            x = xxhash.xxh64_intdigest(xx(word.encode()).to_bytes(8, "little"), 42)
-            one, two = (xxhash.xxh64_intdigest(k.to_bytes(4, "little"), x) for k in (2 * slot + 1, 2 * slot + 2))
-            r, c, b = -np.log(u(one, 0) * u(one, 31)), np.log(-np.log(u(two, 0) * u(two, 31))), u(one ^ two, 17)
-            t = int(np.floor(np.log(float(n)) / r + b))
-            drawn.append((c - r * (t - b + 1), xxhash.xxh64_intdigest(t.to_bytes(8, "little", signed=True), x) & 65535))
-        out.append(min(drawn)[1])
-    return out
-
-
 def test_query_estimates_skewed_and_short_texts(spark, make_docs, tmp_path):
     rows, likeness = [], {}
     for k in range(0, 80, 2):
