@@ -1,22 +1,29 @@
-"""Substring dedup: paragraph MinHash banding, with anchored pieces inside long paragraphs.
-
-A paragraph is a line of at least ``LEAST_WORDS`` words (A-Z lower-cased).  Its signature is
-``BANDS`` x ``ROWS`` minima over five-word shingles; at similarity 0.8 a pair shares some band with
-probability 1 - (1 - 0.8^3)^8, above 0.996.  Paragraphs that collide in a band are verified by the
-exact Jaccard similarity of their shingle sets (0.8 or more) and clustered by components.  Bands
-with more than ``CROWD`` different paragraphs are dealt in blocks; each pair of blocks is verified
-whole by one product of membership matrices and gives a spanning forest of its links only.
-
-A passage may also sit inside longer, otherwise different paragraphs.  There, every window of
-``ANCHOR`` words marks its least-hashed start, and the ``PIECE`` words from it are a piece; equal
-pieces are repeats.  Any passage of ANCHOR + PIECE - 1 = 50 words or more contains a piece whole,
-chosen by its own words only, wherever it stands.
-
-A repeat counts when it is in two documents at least.  Its first place in (doc_id, line, word)
-order stays, the others may be cut.  Documents that share a repeat are one class.
-
-Rows: null and empty texts have no paragraphs; null ids sort first and count as one document;
-repeated rows count as one document; extra columns are ignored; empty tables give empty results.
+"""Substring dedup: paragraph MinHash banding, with exact passages across line breaks beside it.
+
+A text is the sequence of its words (A-Z lower-cased); places are word positions in it.  A passage
+of ``LEAST`` = 50 words or more that stands at two places is a repeat; so is a paragraph (a line) of
+that many words whose five-word shingles are similar to another's.  What is shorter is no passage:
+documents that share a phrase or a short line only are left alone.
+
+*Paragraphs.*  A signature is ``BANDS`` x ``ROWS`` minima over five-word shingles; at similarity 0.8
+a pair shares some band with probability 1 - (1 - 0.8^3)^8, above 0.996.  Paragraphs that collide in
+a band are verified by the exact Jaccard similarity of their shingle sets (0.8 or more) and
+clustered by components.  Bands with more than ``CROWD`` different paragraphs are dealt in blocks;
+each pair of blocks is verified whole by one product of membership matrices and gives a spanning
+forest of its links only.
+
+*Passages.*  Every window of ``ANCHOR`` words marks its least-hashed start, and the ``PIECE`` words
+from it are a piece; any passage of ANCHOR + PIECE - 1 = 50 words holds one, chosen by its own words
+only.  Around pieces that occur twice, every run of 50 words is hashed, and equal runs are the
+repeats: in full length, also across lines, in time linear in the places.
+
+The first place of a repeat in (doc_id, word) order stays, the others may be cut.  Documents that
+share a repeat are one class.
+
+Rows: null and empty texts have no words; null ids sort first; equal texts (64-bit hash of the
+lower-cased text) are worked on once, all but the first are repeats whole if they have 50 words;
+repeated rows are such copies; a row with an id of its own keeps its row whatever else repeats;
+extra columns are ignored; empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -28,18 +35,20 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phasewarp.llm.common import NO_ID, components, documents, shared_folder, stored
+from phasewarp.llm.common import NO_ID, ascii_lower, components, documents, release, shared_folder, stored
 
 SHINGLE = 5
 SIMILAR = 0.8
-LEAST_WORDS = 24
+LEAST = 50
 PIECE = 24
-ANCHOR = 27
+ANCHOR = LEAST - PIECE + 1
 BANDS, ROWS = 8, 3
 CROWD = 64
 BLOCK = 512
 BATCH_CHARS = 1_000_000
-UNITS = "doc_id long, line int, start int, words int, unit long, bands array<long>"
+UNITS = "key long, start int, words int, unit long, bands array<long>"
+#: ``start`` of the row that tells a text's length.
+WHOLE = -1
 _MULTIPLY = np.random.default_rng(20240101).integers(1, 2**63, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
 _ADD = np.random.default_rng(20240102).integers(0, 2**63, BANDS * ROWS, dtype=np.uint64)
 
@@ -96,86 +105,118 @@ class WordHashes:
         return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
 
 
-def paragraph_units(texts: list[tuple], hashes: WordHashes):
-    """Units of ``(doc_id, text)`` rows as columns: doc_id, line, start, words, unit, band keys
-    (one row per paragraph, in the order of the first rows).  Words of all paragraphs are hashed
-    and combined in one go."""
-    docs, lines, sizes, words = [], [], [], []
-    for doc, text in texts:
-        for number, line in enumerate((text or "").encode("utf-8", "surrogatepass").lower().split(b"\n")):
-            if len(line) < 2 * LEAST_WORDS - 1:
-                continue
-            found = line.split()
-            if len(found) >= LEAST_WORDS:
-                docs.append(doc)
-                lines.append(number)
-                sizes.append(len(found))
-                words += found
-    if not docs:
-        return None
-    h, n = hashes.of(words), np.array(sizes)
+def text_words(text: str | None) -> tuple[list[bytes], list[tuple[int, int]]]:
+    """Words of a text and (start, words) of its paragraphs."""
+    words: list[bytes] = []
+    paragraphs = []
+    for line in (text or "").encode("utf-8", "surrogatepass").lower().split(b"\n"):
+        found = line.split()
+        if len(found) >= LEAST:
+            paragraphs.append((len(words), len(found)))
+        words += found
+    return words, paragraphs
+
+
+def text_units(texts: list[tuple], hashes: WordHashes) -> tuple[np.ndarray, ...]:
+    """Units of ``(key, text)`` rows as columns key, start, words, unit and the band keys of the
+    first rows, which are the paragraphs; then come pieces and one row per text.  Words of all
+    texts are hashed and combined in one go."""
+    words, sizes, paragraphs = [], [], []
+    for _, text in texts:
+        found, lines = text_words(text)
+        paragraphs += [(len(sizes), len(words) + s, n) for s, n in lines]
+        sizes.append(len(found))
+        words += found
+    keys, n = np.array([k for k, _ in texts], np.int64), np.array(sizes, np.int64)
+    h = hashes.of(words)
     ends = np.cumsum(n)
-    starts = ends - n
-    of = np.repeat(np.arange(len(n)), n)  # paragraph of each word
-    left = ends[of] - np.arange(len(h))  # words from here to its end
+    of = np.repeat(np.arange(len(n)), n)  # text of each word
+    place = np.arange(len(h)) - (ends - n)[of]
+    left = ends[of] - np.arange(len(h))
+    par = np.array(paragraphs, np.int64).reshape(-1, 3)
     with np.errstate(over="ignore"):
-        whole = left >= SHINGLE
-        grams = _grams(h, SHINGLE, 5)
-        whole = whole[: len(grams)]
-        firsts = np.concatenate(([0], np.cumsum(np.bincount(of[: len(grams)][whole], minlength=len(n)))[:-1]))
-        bands = signatures(grams[whole], firsts)
-        place = np.arange(len(h)) - starts[of]
-        unit = np.add.reduceat(_spread(_spread(h + place.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)), starts)
-        unit = _spread(unit + n.astype(np.uint64))
         pieces = _grams(h, PIECE, 24)
-        at = anchors(pieces, ANCHOR, np.flatnonzero(left >= ANCHOR + PIECE - 1))
-    doc_of = np.array([NO_ID if d is None else d for d in docs], np.int64)
+        at = anchors(pieces, ANCHOR, np.flatnonzero(left >= LEAST))
+        bands, unit = np.zeros((0, BANDS), np.int64), np.zeros(0, np.uint64)
+        if len(par):
+            shingles = par[:, 2] - SHINGLE + 1
+            within = lambda size: np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+            grams = _grams(h, SHINGLE, 5)[np.repeat(par[:, 1], shingles) + within(shingles)]
+            bands = signatures(grams, np.cumsum(shingles) - shingles)
+            step = within(par[:, 2])
+            own = h[np.repeat(par[:, 1], par[:, 2]) + step]
+            unit = np.add.reduceat(_spread(_spread(own + step.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)), np.cumsum(par[:, 2]) - par[:, 2])
+            unit = _spread(unit + par[:, 2].astype(np.uint64))
     return (
-        np.concatenate([doc_of, doc_of[of[at]]]), np.concatenate([np.array(lines), np.array(lines)[of[at]]]), np.concatenate([np.zeros(len(n), np.int64), place[at]]),
-        np.concatenate([n, np.full(len(at), PIECE)]), np.concatenate([unit, pieces[at]]), bands,
+        np.concatenate([keys[par[:, 0]], keys[of[at]], keys]), np.concatenate([place[par[:, 1]], place[at], np.full(len(n), WHOLE)]),
+        np.concatenate([par[:, 2], np.full(len(at), PIECE), n]), np.concatenate([unit, pieces[at], np.zeros(len(n), np.uint64)]), bands,
     )
 
 
+def _batched(columns: pa.RecordBatch, first: str):
+    """Rows of a batch in lists of bounded text."""
+    rows, held = [], 0
+    others = [n for n in columns.schema.names if n != first and n != "text"]
+    for k, (key, text) in enumerate(zip(columns.column(first).to_pylist(), columns.column("text"))):
+        rows.append((key, text.as_py(), *(columns.column(n)[k].as_py() for n in others)))
+        held += len(rows[-1][1] or "")
+        if held > BATCH_CHARS:
+            yield rows
+            rows, held = [], 0
+    if rows:
+        yield rows
+
+
+def _lists(parts: list[np.ndarray], kind) -> pa.ListArray:
+    offsets = np.concatenate(([0], np.cumsum([len(p) for p in parts]))).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(parts) if parts else np.zeros(0), kind))
+
+
 def _unit_batches(batches):
     hashes = WordHashes()
     for b in batches:
-        rows, held = [], 0
-        for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text")):
-            rows.append((doc, text.as_py()))
-            held += len(rows[-1][1] or "")
-            if held > BATCH_CHARS:
-                yield from _units(paragraph_units(rows, hashes))
-                rows, held = [], 0
-        if rows:
-            yield from _units(paragraph_units(rows, hashes))
-
-
-def _units(found):
-    if found is None:
-        return
-    doc, line, start, words, unit, bands = found
-    counts = np.concatenate([np.full(len(bands), BANDS), np.zeros(len(doc) - len(bands), np.int64)])
-    offsets = np.concatenate(([0], np.cumsum(counts))).astype(np.int32)
-    yield pa.RecordBatch.from_arrays(
-        [pa.array(doc), *(pa.array(c.astype(np.int32)) for c in (line, start, words)), pa.array(unit.view(np.int64)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(bands.ravel()))],
-        names=["doc_id", "line", "start", "words", "unit", "bands"],
-    )
-
-
-def _shingle_batches(batches):
-    """Shingle sets of the paragraphs asked for: rows of a text and its wanted (line, unit)."""
+        for rows in _batched(b, "key"):
+            key, start, words, unit, bands = text_units(rows, hashes)
+            counts = np.concatenate([np.full(len(bands), BANDS), np.zeros(len(key) - len(bands), np.int64)])
+            offsets = np.concatenate(([0], np.cumsum(counts))).astype(np.int32)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(key), *(pa.array(c.astype(np.int32)) for c in (start, words)), pa.array(unit.view(np.int64)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(bands.ravel()))],
+                names=["key", "start", "words", "unit", "bands"],
+            )
+    del hashes
+    release()
+
+
+def _detail_batches(batches):
+    """Per text with hits (starts of repeated pieces) and wanted paragraphs: the starts and hashes
+    of all runs of ``LEAST`` words around hits, and the shingle sets."""
     hashes = WordHashes()
     for b in batches:
-        units, sets = [], []
-        for text, wanted in zip(b.column("text"), b.column("wanted").to_pylist()):
-            lines = (text.as_py() or "").encode("utf-8", "surrogatepass").lower().split(b"\n")
-            for w in wanted:
+        for rows in _batched(b, "key"):
+            starts, runs, units, sets, key = [], [], [], [], []
+            for k, text, hits, wanted in rows:
+                h = hashes.of(text_words(text)[0])
                 with np.errstate(over="ignore"):
-                    sets.append(np.unique(_grams(hashes.of(lines[w["line"]].split()), SHINGLE, 5)).view(np.int64))
-                units.append(w["unit"])
-        offsets = np.concatenate(([0], np.cumsum([len(s) for s in sets]))).astype(np.int32)
-        values = np.concatenate(sets) if sets else np.zeros(0, np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(units, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(values))], names=["unit", "shingles"])
+                    grams = _grams(h, LEAST, LEAST) if hits else np.zeros(0, np.uint64)
+                    hit = np.array(hits or [], np.int64)
+                    at = np.unique((hit[:, None] - np.arange(ANCHOR)).ravel())
+                    at = at[(at >= 0) & (at < len(grams))]
+                    for w in wanted or []:
+                        units.append(w["unit"])
+                        sets.append(np.unique(_grams(h[w["start"] : w["start"] + w["words"]], SHINGLE, 5)).view(np.int64))
+                key.append(k)
+                starts.append(at.astype(np.int32))
+                runs.append(grams[at].view(np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(key, pa.int64()), _lists(starts, pa.int32()), _lists(runs, pa.int64()), pa.nulls(len(key), pa.int64()), pa.nulls(len(key), pa.list_(pa.int64()))], names=DETAIL_NAMES)
+            if units:
+                none = pa.nulls(len(units), pa.int64())
+                yield pa.RecordBatch.from_arrays([none, pa.nulls(len(units), pa.list_(pa.int32())), pa.nulls(len(units), pa.list_(pa.int64())), pa.array(units, pa.int64()), _lists(sets, pa.int64())], names=DETAIL_NAMES)
+    del hashes
+    release()
+
+
+DETAIL = "key long, starts array<int>, runs array<long>, unit long, shingles array<long>"
+DETAIL_NAMES = ["key", "starts", "runs", "unit", "shingles"]
 
 
 def _forest(pairs: np.ndarray, n: int) -> list[tuple[int, int]]:
@@ -217,95 +258,143 @@ def _block_links(least: float):
     return run
 
 
-def paragraph_links(units: DataFrame, docs: DataFrame, folder: str, least: float = SIMILAR, crowd: int = CROWD) -> DataFrame:
-    """Links ``(a, b)`` between different paragraphs whose shingle sets are alike; in crowded
-    bands a spanning forest of them."""
-    paragraphs = units.filter(F.size("bands") > 0)
-    banded = paragraphs.select("unit", F.explode("bands").alias("band")).distinct()
-    sizes = banded.groupBy("band").agg(F.count("*").alias("n")).filter("n > 1")
-    shared = stored(banded.join(sizes, "band"), folder, "bands")
-    cool = shared.filter(F.col("n") <= crowd).select("band", "unit")
-    pairs = stored(
-        cool.select("band", F.col("unit").alias("a")).join(cool.select("band", F.col("unit").alias("b")), "band").filter("a < b").select("a", "b").distinct(),
-        folder, "pairs",
-    )
-    hot = shared.filter(F.col("n") > crowd)
-    wanted = pairs.select(F.col("a").alias("unit")).unionAll(pairs.select("b")).unionAll(hot.select("unit")).distinct()
-    places = paragraphs.join(wanted, "unit").groupBy("unit").agg(F.min(F.struct("doc_id", "line")).alias("at"))
-    per_doc = places.groupBy(F.col("at.doc_id").alias("doc_id")).agg(F.collect_list(F.struct(F.col("at.line").alias("line"), "unit")).alias("wanted"))
-    sets = stored(docs.join(per_doc, "doc_id").select("text", "wanted").mapInArrow(_shingle_batches, "unit long, shingles array<long>").dropDuplicates(["unit"]), folder, "sets")
-    same = F.size(F.array_intersect("x", "y"))
-    verified = (
-        pairs.join(sets.select(F.col("unit").alias("a"), F.col("shingles").alias("x")), "a")
-        .join(sets.select(F.col("unit").alias("b"), F.col("shingles").alias("y")), "b")
-        .filter(same >= F.lit(least) * (F.size("x") + F.size("y") - same) - 1e-9)
-        .select("a", "b")
-    )
-    blocks = F.ceil(F.col("n") / F.lit(BLOCK)).cast("int")
-    dealt = (
-        hot.join(sets, "unit")
-        .withColumn("blocks", blocks)
-        .withColumn("mine", F.pmod(F.xxhash64("unit"), F.col("blocks")).cast("int"))
-        .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        .select("band", "unit", "shingles", F.least("mine", "other").alias("p"), F.greatest("mine", "other").alias("q"))
-    )
-    crowded = dealt.groupBy("band", "p", "q").applyInPandas(_block_links(least), "a long, b long")
-    return verified.unionByName(crowded).distinct()
+class Candidates:
+    """Paragraphs that share a band: pairs of them, and members of crowded bands."""
+
+    def __init__(self, paragraphs: DataFrame, folder: str, crowd: int):
+        banded = paragraphs.select("unit", F.explode("bands").alias("band")).distinct()
+        sizes = banded.groupBy("band").agg(F.count("*").alias("n")).filter("n > 1")
+        shared = stored(banded.join(sizes, "band"), folder, "bands")
+        cool = shared.filter(F.col("n") <= crowd).select("band", "unit")
+        other = cool.select("band", F.col("unit").alias("b"))
+        met = cool.select("band", F.col("unit").alias("a")).join(other, "band").filter("a < b")
+        self.pairs = stored(met.select("a", "b").distinct(), folder, "pairs")
+        self.hot = shared.filter(F.col("n") > crowd)
+        self.units = self.pairs.select(F.col("a").alias("unit")).unionAll(self.pairs.select("b")).unionAll(self.hot.select("unit")).distinct()
+
+    def links(self, sets: DataFrame, least: float) -> DataFrame:
+        """Links ``(a, b)`` between different paragraphs whose shingle sets are alike; in crowded
+        bands a spanning forest of them."""
+        same = F.size(F.array_intersect("x", "y"))
+        verified = (
+            self.pairs.join(sets.select(F.col("unit").alias("a"), F.col("shingles").alias("x")), "a")
+            .join(sets.select(F.col("unit").alias("b"), F.col("shingles").alias("y")), "b")
+            .filter(same >= F.lit(least) * (F.size("x") + F.size("y") - same) - 1e-9)
+            .select("a", "b")
+        )
+        dealt = (
+            self.hot.join(sets, "unit")
+            .withColumn("blocks", F.ceil(F.col("n") / F.lit(BLOCK)).cast("int"))
+            .withColumn("mine", F.pmod(F.xxhash64("unit"), F.col("blocks")).cast("int"))
+            .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+            .select("band", "unit", "shingles", F.least("mine", "other").alias("p"), F.greatest("mine", "other").alias("q"))
+        )
+        crowded = dealt.groupBy("band", "p", "q").applyInPandas(_block_links(least), "a long, b long")
+        return verified.unionByName(crowded).distinct()
+
+
+def _at_two_places(rows: DataFrame, name: str) -> DataFrame:
+    """Values of ``name`` in ``rows(name, key, start)`` that stand at two places or more."""
+    ends = rows.groupBy(name).agg(F.min("key").alias("k0"), F.max("key").alias("k1"), F.min("start").alias("s0"), F.max("start").alias("s1"))
+    return ends.filter("k0 <> k1 OR s0 <> s1").select(name)
 
 
-def repeats(docs: DataFrame, least: float = SIMILAR, crowd: int = CROWD) -> tuple[DataFrame, str]:
-    """Every place of a repeat: ``doc_id, line, start, words, first`` (the struct of its first
-    place), with null ids as the least number; and the folder it is stored in."""
+def repeats(docs: DataFrame, least: float = SIMILAR, crowd: int = CROWD) -> tuple[DataFrame, DataFrame, DataFrame, str]:
+    """(rows ``id_key, key``; texts ``key, first_id, n_rows, words``; places ``key, start, words,
+    id0, start0`` of repeats with the first place of each; the folder they are stored in).  Texts
+    are named by ``key``; ``first_id`` is the least id that has the text."""
     folder = shared_folder(docs.sparkSession)
-    base = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), F.col("text").cast("string").alias("text"))
-    units = stored(base.mapInArrow(_unit_batches, UNITS), folder, "units")
-    links = stored(paragraph_links(units, base, folder, least, crowd), folder, "links")
+    base = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("id_key"), F.col("text").cast("string").alias("text"))
+    base = base.select("id_key", "text", F.xxhash64(ascii_lower(F.col("text"))).alias("key"))
+    rows = stored(base.select("id_key", "key"), folder, "rows")
+    units = stored(base.select("key", "text").mapInArrow(_unit_batches, UNITS), folder, "units")
+    lengths = units.filter(F.col("start") == WHOLE).groupBy("key").agg(F.max("words").alias("words"))
+    texts = stored(rows.groupBy("key").agg(F.min("id_key").alias("first_id"), F.count("*").alias("n_rows")).join(lengths, "key"), folder, "texts")
+
+    paragraphs, pieces = units.filter(F.size("bands") > 0), units.filter((F.size("bands") == 0) & (F.col("start") != WHOLE)).select("unit", "key", "start")
+    met = Candidates(paragraphs, folder, crowd)
+    hits = stored(pieces.join(_at_two_places(pieces, "unit"), "unit").select("key", "start"), folder, "hits")
+    wanted = paragraphs.join(met.units, "unit").groupBy("unit").agg(F.min(F.struct("key", "start", "words")).alias("at"))
+    wanted = wanted.groupBy(F.col("at.key").alias("key")).agg(F.collect_list(F.struct(F.col("at.start").alias("start"), F.col("at.words").alias("words"), "unit")).alias("wanted"))
+    asked = hits.groupBy("key").agg(F.collect_set("start").alias("hits")).join(wanted, "key", "full_outer").join(texts.select("key", "first_id"), "key")
+    # one row of each text is read again, the one with the least id
+    again = base.withColumnRenamed("id_key", "first_id").join(asked, ["key", "first_id"]).select("key", "text", "hits", "wanted")
+    detail = stored(again.mapInArrow(_detail_batches, DETAIL), folder, "detail")
+
+    links = stored(met.links(detail.filter("unit IS NOT NULL").select("unit", "shingles").dropDuplicates(["unit"]), least), folder, "links")
     roots = stored(components(links, folder).select(F.col("node").alias("unit"), "root"), folder, "roots")
-    place = F.struct("doc_id", "line", "start")
-    shared = lambda rows, key: rows.groupBy(key).agg(F.min(place).alias("first"), F.max("doc_id").alias("last")).filter("first.doc_id <> last").select(key, "first")
-    narrow = units.select("doc_id", "line", "start", "words", "unit")
-    equal = narrow.join(shared(narrow, "unit"), "unit").select("doc_id", "line", "start", "words", "first")
-    named = units.filter(F.size("bands") > 0).join(roots, "unit").select("doc_id", "line", "start", "words", "root")
-    near = named.join(shared(named, "root"), "root").select("doc_id", "line", "start", "words", "first")
-    return stored(equal.unionByName(near).distinct(), folder, "repeats"), folder
-
-
-def _covered(spans):
-    """Words covered by sorted (line, start, stop) spans, overlaps once."""
-    zero = F.struct(F.lit(0).alias("n"), F.lit(-1).alias("line"), F.lit(0).alias("stop"))
-    step = lambda s, x: F.struct(
-        (s["n"] + F.when(x["line"] == s["line"], F.greatest(F.lit(0), x["stop"] - F.greatest(x["start"], s["stop"]))).otherwise(x["stop"] - x["start"])).alias("n"),
-        x["line"].alias("line"),
-        F.when(x["line"] == s["line"], F.greatest(x["stop"], s["stop"])).otherwise(x["stop"]).alias("stop"),
-    )
-    return F.aggregate(spans, zero, step, lambda s: s["n"])
+    names = texts.select("key", "first_id")
+    windows = detail.filter("key IS NOT NULL").select("key", F.explode(F.arrays_zip("starts", "runs")).alias("w")).select("key", F.col("w.starts").alias("start"), F.col("w.runs").alias("run"))
+    windows = windows.join(names, "key")
+    place = F.struct(F.col("first_id").alias("id0"), F.col("start").alias("start0"))
+    first = windows.groupBy("run").agg(F.min(place).alias("f"), F.max(place).alias("l"), F.min("key").alias("k0"), F.max("key").alias("k1"))
+    first = first.filter("f <> l OR k0 <> k1").select("run", "f.*")
+    equal = windows.join(first, "run").select("key", "start", F.lit(LEAST).alias("words"), "id0", "start0")
+    named = paragraphs.select("unit", "key", "start", "words").distinct().join(roots, "unit").join(names, "key")
+    tops = named.groupBy("root").agg(F.min(place).alias("f"))
+    near = named.join(tops.select("root", "f.*"), "root").select("key", "start", "words", "id0", "start0")
+    return rows, texts, stored(equal.unionByName(near), folder, "places"), folder
+
+
+def _merged(starts: np.ndarray, stops: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Overlapping and touching spans as one."""
+    order = np.argsort(starts, kind="stable")
+    starts, reach = starts[order], np.maximum.accumulate(stops[order])
+    new = np.concatenate(([True], starts[1:] > reach[:-1])) if len(starts) else np.zeros(0, bool)
+    at = np.flatnonzero(new)
+    return starts[at], reach[np.concatenate((at[1:], [len(starts)])) - 1] if len(at) else reach
+
+
+def _span_batches(batches):
+    """Places of a text, as a list of (start, stop, later), to words covered and spans that may go."""
+    for b in batches:
+        covered, removed, lo, hi = [], [], [], []
+        for p in b.column("places"):
+            v = p.values
+            start, stop, later = (v.field(k).to_numpy(zero_copy_only=False) for k in range(3))
+            x, y = _merged(start, stop)
+            covered.append(int((y - x).sum()))
+            x, y = _merged(start[later], stop[later])
+            removed.append(len(x))
+            lo.append(x)
+            hi.append(y)
+        flat = lambda parts: pa.array(np.concatenate(parts) if parts else np.zeros(0), pa.int32())
+        spans = pa.StructArray.from_arrays([flat(lo), flat(hi)], names=["start", "stop"])
+        offsets = np.concatenate(([0], np.cumsum(removed))).astype(np.int32)
+        yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(covered, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), spans)], names=["key", "repeated_words", "removed"])
+    release()
 
 
 def document_classes(docs: DataFrame, least: float = SIMILAR, crowd: int = CROWD) -> DataFrame:
     """One row per document: ``doc_id, class_id`` (smallest id reachable over shared repeats, its
-    own if none), ``repeated``, ``repeated_words``, ``removed_words`` and ``removed`` (line and
-    word spans that are not the first place of their repeat)."""
-    found, folder = repeats(docs, least, crowd)
-    edges = found.select(F.col("doc_id").alias("a"), F.col("first.doc_id").alias("b")).distinct()
+    own if none), ``repeated``, ``repeated_words``, ``removed_words`` and ``removed`` (word spans
+    that are not the first place of their repeat)."""
+    rows, texts, places, folder = repeats(docs, least, crowd)
+    known = places.join(texts.select("key", "first_id"), "key")
+    edges = known.select(F.col("first_id").alias("a"), F.col("id0").alias("b")).distinct()
     roots = components(edges, f"{folder}/documents")
-    span = F.struct("line", "start", (F.col("start") + F.col("words")).alias("stop"))
-    later = F.struct("doc_id", "line", "start") != F.col("first")
-    per_doc = found.groupBy("doc_id").agg(
-        F.array_sort(F.collect_set(span)).alias("spans"), F.array_sort(F.collect_set(F.when(later, span))).alias("removed")
-    )
-    known = lambda c: F.when(c != NO_ID, c)
-    return (
-        docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"))
-        .join(per_doc, "doc_id", "left")
-        .join(roots.withColumnRenamed("node", "doc_id"), "doc_id", "left")
-        .select(
-            known(F.col("doc_id")).alias("doc_id"),
-            known(F.coalesce("root", "doc_id")).alias("class_id"),
-            F.col("spans").isNotNull().alias("repeated"),
-            F.coalesce(_covered(F.col("spans")), F.lit(0)).cast("long").alias("repeated_words"),
-            F.coalesce(_covered(F.col("removed")), F.lit(0)).cast("long").alias("removed_words"),
-            F.coalesce("removed", F.array().cast("array<struct<line:int,start:int,stop:int>>")).alias("removed"),
-        )
+    later = (F.col("first_id") != F.col("id0")) | (F.col("start") != F.col("start0"))
+    span = F.struct("start", (F.col("start") + F.col("words")).alias("stop"), later.alias("later"))
+    spans = known.groupBy("key").agg(F.collect_list(span).alias("places")).mapInArrow(_span_batches, "key long, repeated_words long, removed array<struct<start:int,stop:int>>")
+    whole = F.array(F.struct(F.lit(0).alias("start"), F.col("words").alias("stop")))
+    told = texts.join(spans, "key", "left").join(roots.withColumnRenamed("node", "first_id"), "first_id", "left")
+    facts = told.select(
+        "key", "first_id", "words", "repeated_words", "removed",
+        ((F.col("n_rows") > 1) & (F.col("words") >= LEAST)).alias("copied"), F.coalesce("root", "first_id").alias("class"), F.col("root").isNotNull().alias("linked"),
+    )
+    # of the rows of one text one with the first id stays
+    counted = rows.groupBy("key", "id_key").agg(F.count("*").cast("int").alias("n"))
+    joined = counted.join(facts, "key").withColumn("nth", F.explode(F.sequence(F.lit(1), "n")))
+    copy = F.col("copied") & ((F.col("id_key") != F.col("first_id")) | (F.col("nth") > 1))
+    length = F.aggregate("removed", F.lit(0), lambda s, x: s + x["stop"] - x["start"])
+    id_of = lambda c: F.when(c != NO_ID, c)
+    return joined.select(
+        id_of(F.col("id_key")).alias("doc_id"),
+        id_of(F.when(F.col("copied") | F.col("linked"), F.col("class")).otherwise(F.col("id_key"))).alias("class_id"),
+        (F.col("copied") | F.col("repeated_words").isNotNull()).alias("repeated"),
+        F.when(F.col("copied"), F.col("words")).otherwise(F.coalesce("repeated_words", F.lit(0))).cast("long").alias("repeated_words"),
+        F.when(copy, F.col("words")).otherwise(F.coalesce(length, F.lit(0))).cast("long").alias("removed_words"),
+        F.when(copy, whole).otherwise(F.coalesce("removed", F.array().cast("array<struct<start:int,stop:int>>"))).alias("removed"),
     )
 
 
