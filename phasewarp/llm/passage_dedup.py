@@ -60,8 +60,8 @@ def _spread(h: np.ndarray) -> np.ndarray:
 
 def _grams(words: np.ndarray, size: int, seed: int) -> np.ndarray:
     """Hashes of all runs of ``size`` words, from the words' own hashes."""
-    n = len(words) - size + 1
-    out = np.full(max(n, 0), seed, np.uint64)
+    n = max(len(words) - size + 1, 0)
+    out = np.full(n, seed, np.uint64)
     for k in range(size):
         out = _spread(out * np.uint64(0xBF58476D1CE4E5B9) + words[k : k + n])
     return out
