@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from phasewarp.llm.common import documents
 
-GENERATION = 200_000
+GENERATION = 120_000
 MOST_PAIRS = 300_000
 LONGEST_KEY = 128
 BATCH_IDS = 2_000_000
@@ -281,9 +281,9 @@ def _encode_batches(path: str, text: str, ids: str):
     return run
 
 
-def _decode_batches(path: str, ids: str, text: str):
+def _decode_batches(path: str, ids: str, text: str, tokens=None):
     def run(batches):
-        words = vocabulary(path)
+        words = (tokens or vocabulary)(path)
         for b in batches:
             column = b.column(ids)
             for x, y in _slices(b, np.diff(column.offsets.to_numpy()).tolist() if b.num_rows else []):
@@ -295,6 +295,17 @@ def _decode_batches(path: str, ids: str, text: str):
     return run
 
 
+def _both_batches(path: str, text: str, ids: str, decoded: str):
+    """Encodes and decodes in one worker."""
+
+    def run(batches):
+        back = _decode_batches(path, ids, decoded, model)
+        for b in _encode_batches(path, text, ids)(batches):
+            yield from back([b])
+
+    return run
+
+
 def _fields(df: DataFrame) -> str:
     return ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema)
 
@@ -309,13 +320,17 @@ def decode(df: DataFrame, tokenizer: str, ids: str = "ids", text: str = "decoded
     return df.mapInArrow(_decode_batches(tokenizer, ids, text), f"{_fields(df)}, `{text}` string")
 
 
+def round_trip(df: DataFrame, tokenizer: str, text: str = "text", ids: str = "ids", decoded: str = "decoded") -> DataFrame:
+    """:func:`encode`, then :func:`decode`, in one pass over the rows."""
+    return df.mapInArrow(_both_batches(tokenizer, text, ids, decoded), f"{_fields(df)}, `{ids}` array<int>, `{decoded}` string")
+
+
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
     path = public_tokenizers.path("byte_bpe_50k.json")
     docs = documents(spark, sf_dir).select("doc_id", "text")
-    coded = encode(docs, path).select("doc_id", "ids")
-    return decode(coded, path).select(
+    return round_trip(docs, path).select(
         "doc_id",
         F.size("ids").cast("long").alias("n_tokens"),
         F.sha2(F.array_join(F.col("ids").cast("array<string>"), ","), 256).alias("ids_sha256"),

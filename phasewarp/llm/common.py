@@ -69,6 +69,15 @@ def release() -> None:
         return
 
 
+def first_of_each(rows: DataFrame, keys: list[str], columns: list[str]) -> DataFrame:
+    """One row of each key from ``rows(columns, keys, n)``, n the rows of the key: of repeated rows
+    the one whose other columns sort first as JSON, by a minimum that combines before the shuffle,
+    so no task holds the rows of a key."""
+    others = F.to_json(F.struct(*[F.col(c) for c in columns if c != "text"], F.xxhash64("text").alias("_h")))
+    many = rows.filter("n > 1").groupBy(*keys).agg(F.min_by(F.struct(*columns), others).alias("_r")).select("_r.*")
+    return rows.filter("n = 1").select(*columns).unionByName(many)
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
 

@@ -21,7 +21,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phasewarp.llm.common import NO_ID, ascii_lower, documents, shared_folder, shuffle_width, stored
+from phasewarp.llm.common import NO_ID, ascii_lower, documents, first_of_each, shared_folder, shuffle_width, stored
 
 BUCKET_KEYS = 1 << 17
 FILTER_SCHEMA = "bucket long, seed long, segment long, segments long, cells binary"
@@ -220,20 +220,10 @@ def _id(name: str):
 def keep_one(docs: DataFrame) -> DataFrame:
     """``docs`` without the rows that :func:`decide` drops; of rows repeated with one ``doc_id``
     and text, the one whose other columns sort first stays."""
-    from pyspark.sql import Window
-
-    kept = decide(docs).filter("kept").select("id_key", "alt")
-    others = F.to_json(F.struct(*[F.col(c) for c in docs.columns if c != "text"]))
-    at = Window.partitionBy("id_key", "alt").orderBy("_others")
-    return (
-        docs.withColumn("id_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
-        .withColumn("alt", F.xxhash64(ascii_lower(F.col("text"))))
-        .join(kept, ["id_key", "alt"], "left_semi")
-        .withColumn("_others", others)
-        .withColumn("_at", F.row_number().over(at))
-        .filter("_at = 1")
-        .select(*docs.columns)
-    )
+    rows = decide(docs)
+    kept = rows.groupBy("id_key", "alt").agg(F.count("*").alias("n"), F.max(F.col("kept").cast("int")).alias("stays")).filter("stays = 1")
+    keyed = docs.withColumn("id_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))).withColumn("alt", F.xxhash64(ascii_lower(F.col("text"))))
+    return first_of_each(keyed.join(kept, ["id_key", "alt"]), ["id_key", "alt"], docs.columns)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phasewarp.llm.common import NO_ID, components, documents, shared_folder, stored
+from phasewarp.llm.common import NO_ID, components, documents, first_of_each, release, shared_folder, stored
 
 HOT = 200
 SHINGLE = 3
@@ -91,15 +91,15 @@ def codeword_keys(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(rows), np.concatenate(keys)
 
 
-def fingerprint(text: str | None) -> int:
+def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not words:
         return 0
-    k = max(1, len(words) - SHINGLE + 1)
+    k = max(1, len(words) - shingle + 1)
     line = b" ".join(words)
     ends = np.cumsum([len(w) + 1 for w in words]) - 1
     starts = np.concatenate(([0], ends[:-1] + 1))[:k]
-    ends = ends[min(SHINGLE, len(words)) - 1 :][:k]
+    ends = ends[min(shingle, len(words)) - 1 :][:k]
     digest = xxhash.xxh64_intdigest
     h = np.array([digest(line[a:b], 42) for a, b in zip(starts.tolist(), ends.tolist())], dtype=np.uint64)
     ones = np.zeros(64, np.int64)
@@ -110,11 +110,15 @@ def fingerprint(text: str | None) -> int:
     return int(bits.view("<u8")[0])
 
 
-def _fingerprint_batches(batches):
-    for b in batches:
-        prints = np.array([fingerprint(t) for t in b.column("text").to_pylist()], dtype=np.uint64).view(np.int64)
-        others = [n for n in b.schema.names if n != "text"]
-        yield pa.RecordBatch.from_arrays([*(b.column(n) for n in others), pa.array(prints, pa.int64())], names=[*others, "fp"])
+def _fingerprint_batches(shingle: int):
+    def run(batches):
+        for b in batches:
+            prints = np.array([fingerprint(t.as_py(), shingle) for t in b.column("text")], dtype=np.uint64).view(np.int64)
+            others = [n for n in b.schema.names if n != "text"]
+            yield pa.RecordBatch.from_arrays([*(b.column(n) for n in others), pa.array(prints, pa.int64())], names=[*others, "fp"])
+        release()
+
+    return run
 
 
 def _key_batches(batches):
@@ -134,12 +138,12 @@ def _text_key(text):
     return F.md5(F.coalesce(text.cast("string"), F.lit("")))
 
 
-def fingerprints(docs: DataFrame, keyed: bool = False) -> DataFrame:
+def fingerprints(docs: DataFrame, keyed: bool = False, shingle: int = SHINGLE) -> DataFrame:
     """``(doc_id, fp)`` with the fingerprint as a signed 64-bit number; with ``keyed`` also
     ``text_key`` between them."""
     key = [_text_key(F.col("text")).alias("text_key")] if keyed else []
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), *key, F.col("text").cast("string").alias("text")).mapInArrow(
-        _fingerprint_batches, "doc_id long, text_key string, fp long" if keyed else "doc_id long, fp long"
+        _fingerprint_batches(shingle), "doc_id long, text_key string, fp long" if keyed else "doc_id long, fp long"
     )
 
 
@@ -164,11 +168,11 @@ def links(prints: DataFrame, folder: str, hot: int = HOT) -> DataFrame:
     return pairs.unionByName(through).distinct()
 
 
-def near_groups(docs: DataFrame, hot: int = HOT, keyed: bool = False) -> DataFrame:
+def near_groups(docs: DataFrame, hot: int = HOT, keyed: bool = False, shingle: int = SHINGLE) -> DataFrame:
     """Per row ``doc_id, fingerprint, component_id`` (and ``fp``, ``doc_id`` kept as given); with
     ``keyed`` also ``text_key`` and ``root``, which names the group where ids do not."""
     folder = shared_folder(docs.sparkSession)
-    rows = stored(fingerprints(docs, keyed), folder, "fingerprints")
+    rows = stored(fingerprints(docs, keyed, shingle), folder, "fingerprints")
     distinct = stored(
         rows.groupBy("fp").agg(F.min(F.coalesce("doc_id", F.lit(NO_ID))).alias("least")), folder, "distinct"
     )
@@ -186,25 +190,18 @@ def near_groups(docs: DataFrame, hot: int = HOT, keyed: bool = False) -> DataFra
     )
 
 
-def keep_one(docs: DataFrame) -> DataFrame:
+def keep_one(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
     """One row of each near-duplicate group stays: the one with the smallest ``doc_id`` (null is
-    smallest; among rows repeated with it, the one whose JSON form sorts first).  Groups are told
-    apart by their root, since rows of several groups may share an id or have none."""
-    from pyspark.sql import Window
-
-    near = near_groups(docs, keyed=True)
+    smallest; of several texts under it the one whose MD5 sorts first, of repeated rows the one
+    whose JSON form does).  Groups are told apart by their root, since rows of several groups may
+    share an id or have none.  The choice is made on narrow columns."""
+    near = near_groups(docs, keyed=True, shingle=shingle)
     same = F.col("doc_id").eqNullSafe(F.col("component_id"))
-    kept = near.filter(same).select(F.coalesce("doc_id", F.lit(NO_ID)).alias("id_key"), "text_key", "root").distinct()
-    at = Window.partitionBy("root").orderBy("_others")
-    return (
-        docs.withColumn("id_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
-        .withColumn("text_key", _text_key(F.col("text")))
-        .join(kept, ["id_key", "text_key"])
-        .withColumn("_others", F.to_json(F.struct(*[F.col(c) for c in docs.columns if c != "text"], F.xxhash64("text").alias("_h"))))
-        .withColumn("_at", F.row_number().over(at))
-        .filter("_at = 1")
-        .select(*docs.columns)
-    )
+    kept = near.filter(same).groupBy(F.coalesce("doc_id", F.lit(NO_ID)).alias("id_key"), "text_key", "root").agg(F.count("*").alias("n"))
+    # texts of a group under one id: the first by key stays, so a group has one (id, text)
+    kept = kept.groupBy("root").agg(F.min(F.struct("text_key", "id_key", "n")).alias("top")).select("top.*")
+    keyed = docs.withColumn("id_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))).withColumn("text_key", _text_key(F.col("text")))
+    return first_of_each(keyed.join(kept, ["id_key", "text_key"]), ["id_key", "text_key"], docs.columns)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

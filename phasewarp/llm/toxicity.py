@@ -3,7 +3,9 @@
 Words that carry digits or signs among letters, long repetitions, or letters set apart by spaces
 are decoded before scoring: every character opens a few readings (itself, the letters it stands
 for, nothing for separators and repetitions), and the Viterbi path through that lattice under a
-trigram model of characters is the restored word.  The trigram counts cover all documents.
+trigram model of characters is the restored word, whatever its length.  A run of letters set apart
+is restored whole; it is weighed as one word and by the learned words of ``LEAST_INSIDE`` letters or
+more that stand in it.  The trigram counts cover all documents.
 
 A word's weight is the largest log-odds among its learned features (the word and its prefixes).
 A document's score is a logistic function of its heaviest word, the sum of weights, the number of
@@ -33,6 +35,10 @@ SAMPLE_ROWS = 20_000
 MOST_FEATURES = 20_000
 SIGNALS = 4
 PREFIXES = range(4, 9)
+#: Words of fewer letters are not looked for inside a run of letters set apart.
+LEAST_INSIDE = 4
+#: Longer words are decoded each time instead of remembered.
+LONGEST_KEY = 128
 #: Letters that signs stand for.
 STANDS_FOR = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "6": "g", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "l", "+": "t", "€": "e", "£": "l", "¡": "i", "(": "c"}
 SEPARATORS = "._-*~'`^/\\"
@@ -98,10 +104,11 @@ class Restorer:
         return out
 
     def __call__(self, word: str) -> str:
-        paths: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
+        # a path is its last letter and the path before it: linear in the word, of any length
+        paths: dict[tuple[int, int], tuple[float, tuple | None]] = {(0, 0): (0.0, None)}
         for options in self.lattice(word):
-            step: dict[tuple[int, int], tuple[float, str]] = {}
-            for (a, b), (cost, text) in paths.items():
+            step: dict[tuple[int, int], tuple[float, tuple | None]] = {}
+            for (a, b), (cost, path) in paths.items():
                 for c, extra in options:
                     if c:
                         k = _letter(c)
@@ -109,9 +116,14 @@ class Restorer:
                     else:
                         state, total = (a, b), cost + extra
                     if state not in step or total < step[state][0]:
-                        step[state] = (total, text + c)
+                        step[state] = (total, (path, c) if c else path)
             paths = step
-        return min((cost - self.model[a][b][0], text) for (a, b), (cost, text) in paths.items())[1]
+        ends = ((cost - self.model[a][b][0], (a, b)) for (a, b), (cost, _) in paths.items())
+        path, out = paths[min(ends)[1]][1], []
+        while path is not None:
+            path, c = path
+            out.append(c)
+        return "".join(reversed(out))
 
 
 class Words:
@@ -124,22 +136,21 @@ class Words:
         found = self.known.get(raw)
         if found is None:
             found = raw.strip(EDGES) if not _ODD.search(raw) else self.restored(raw)
-            if len(self.known) >= self.most:
-                self.known.clear()
-            self.known[raw] = found
+            if len(raw) <= LONGEST_KEY:
+                if len(self.known) >= self.most:
+                    self.known.clear()
+                self.known[raw] = found
         return found
 
     def restored(self, raw: str) -> str:
         bare = raw.lstrip("\"'([{<«“„¿.,;:").rstrip(".,;:?\"')]}>»”")
-        if not 3 <= len(bare) <= 48:
-            return raw.strip(EDGES)
         if not _ODD.search(bare.rstrip("!")):
             return raw.strip(EDGES)
         return self.restore(bare)
 
     def apart(self, text: str) -> list[str]:
         """Runs of single letters set apart, joined and restored."""
-        return [self.restore(m[0][:96]) for m in _APART.finditer(text)]
+        return [self.restore(m[0]) for m in _APART.finditer(text)]
 
     def of(self, text: str | None) -> set[str]:
         low = (text or "").lower()
@@ -171,6 +182,7 @@ class Scorer:
 
     def __init__(self, model: np.ndarray, weights: dict[str, float], line: tuple[float, ...]):
         self.model, self.weights, self.line = model, weights, line
+        self.sizes = sorted({len(f) - 1 for f in weights if f[0] == "=" and len(f) > LEAST_INSIDE})
         self.words: Words | None = None
         self.known: dict[str, float] = {}
 
@@ -184,21 +196,29 @@ class Scorer:
         found = self.known.get(raw)
         if found is None:
             found = self._weigh(self.words.word(raw))
-            if len(self.known) >= 150_000:
-                self.known.clear()
-            self.known[raw] = found
+            if len(raw) <= LONGEST_KEY:
+                if len(self.known) >= 150_000:
+                    self.known.clear()
+                self.known[raw] = found
         return found
 
     def _weigh(self, word: str) -> float:
         return max((self.weights[f] for f in features(word) if f in self.weights), default=0.0)
 
+    def _inside(self, run: str) -> list[float]:
+        """Weights in a run of letters that were set apart, where no space tells words: of the run
+        as one word, and of the learned words that stand anywhere in it."""
+        found = {run[at : at + n] for n in self.sizes for at in range(len(run) - n + 1) if f"={run[at : at + n]}" in self.weights}
+        return [w for w in (self._weigh(run), *(self.weights[f"={x}"] for x in sorted(found) if x != run)) if w]
+
     def signals(self, text: str | None) -> tuple[float, ...]:
         if self.words is None:
             self.words = Words(self.model)
         low = (text or "").lower()
         words = set(low.split())
         heavy = [w for w in map(self.weight, words) if w]
-        heavy += [w for w in map(self._weigh, self.words.apart(low)) if w]
+        for run in self.words.apart(low):
+            heavy += self._inside(run)
         if not heavy:
             return 0.0, 0.0, 0.0, 0.0
         return max(heavy), math.log1p(sum(heavy)), math.log1p(len(heavy)), math.log1p(len(words))

@@ -26,6 +26,9 @@ def test_obfuscated_words_score_as_restored(spark, trained):
     scorer = tx.fit(*trained)
     for bad in ("you stupid idiot", "st.u.p.i.d", "$tupid person", "stuuuupid", "s t u p i d ok", "id1ot", "1diot"):
         assert scorer(bad) > tx.THRESHOLD, bad
+    spaced = " ".join("readingtalesofmanylazydogsandfriendsandpeopleandfoxesandmoreyoustupidperson")
+    for bad in (spaced, "s" + "." * 90 + "tupid", "st" + "u" * 200 + "pid"):
+        assert scorer(bad) > tx.THRESHOLD, bad
     for fine in (None, "", "my friend 123", "2.0.1", "a b c d e", "x" * 50_000, "!!!"):
         assert scorer(fine) < tx.THRESHOLD, fine
 
