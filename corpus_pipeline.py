@@ -27,8 +27,8 @@ def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group, the one with the smallest id."""
-    return simhash_golay.keep_one(docs)
+    """One document of each near-duplicate group, the one with the smallest id; five-word shingles."""
+    return simhash_golay.keep_one(docs, shingle=5)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,8 +41,7 @@ def tokenized(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
     path = public_tokenizers.path(TOKENIZER)
-    coded = bpe.encode(docs.select("doc_id", "lang", "source", "text"), path)
-    return bpe.decode(coded, path).select(
+    return bpe.round_trip(docs.select("doc_id", "lang", "source", "text"), path).select(
         "doc_id", "lang", "source", F.size("ids").cast("long").alias("n_tokens"), "ids",
         F.coalesce(F.col("text"), F.lit("")).eqNullSafe(F.col("decoded")).alias("round_trip"),
     )
