@@ -29,7 +29,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phasewarp.llm.common import documents
+from phasewarp.llm.common import documents, release
 
 GENERATION = 120_000
 MOST_PAIRS = 300_000
@@ -235,6 +235,14 @@ class BacktrackingBpe(Vocabulary):
         chunks = self.split(text) if _OTHER_WS.search(text) else _CHUNK.findall(text)
         return b"".join(map(self.chunks.__getitem__, chunks))
 
+    def forget(self) -> None:
+        """Drop what is remembered, at the end of a task; idle workers keep the vocabulary only."""
+        for known in (self.chunks, self.pieces):
+            known.clear()
+            known.old = {}
+        self.pairs.clear()
+        release()
+
     def encode(self, text: str | None) -> bytes:
         """Ids as little-endian 32-bit bytes."""
         if not text:
@@ -277,6 +285,7 @@ def _encode_batches(path: str, text: str, ids: str):
                 offsets = np.concatenate(([0], np.cumsum([len(d) // 4 for d in data]))).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(b"".join(data), "<i4"), pa.int32()))
                 yield pa.RecordBatch.from_arrays([*b.slice(x, y - x).columns, lists], names=[*b.schema.names, ids])
+        bpe.forget()
 
     return run
 

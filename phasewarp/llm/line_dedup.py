@@ -1,18 +1,22 @@
 """Line dedup: segment-partition edit join over distinct lines.
 
-Lines at most ``TAU`` edits (of code points) apart are linked.  A line is cut into TAU + 1
-segments; TAU edits leave one of them whole, so each line is indexed under (length, segment
-number, segment) and probes, for every length up to TAU shorter, only the substrings whose shift
-is possible given the edits left on either side (multi-match-aware selection).  Keys are dealt and
-sorted once; a run of equal keys gives its index-probe pairs as it streams by.  Runs longer than
-``CROWD`` give their members instead: these are dealt in blocks, and each pair of blocks is
-screened by letter counts (an edit moves at most two) before verification, so no task holds a
-whole crowd and no pair row is emitted that was not verified.  Verification strips common ends
-and runs the banded bit-parallel recurrence.
-
-Rows: null text has no lines; an empty text has one empty line; equal lines are one class always;
-lines shorter than ``LEAST_CHARS`` have exact classes only; repeated documents keep their own
-rows; extra columns are ignored; empty tables give empty results.
+Two lines are linked when they are at most ``allowed(n)`` edits (of code points) apart, n the
+length of the shorter: one edit for every ``CHARS_AN_EDIT`` characters and ``TAU`` at most, so
+shorter lines are linked to equal ones only.  A line is cut into one segment more than it allows
+edits; that many edits leave one segment whole, so each line is indexed under (length, segment
+number, segment) and probes, for every length that may be linked to its own, only the substrings
+whose shift is possible given the edits left on either side (multi-match-aware selection).
+
+Keys are dealt and sorted once; runs of equal keys with two lines or more give their members as
+they stream by, and only these lines' texts are fetched.  Members of a key are verified where they
+meet, dealt in pairs of blocks of at most ``BLOCK`` lines, screened by letter counts (an edit moves
+at most two); common ends are stripped and the rest runs the banded bit-parallel recurrence.  A
+linked pair is counted under the least key that it shares, so links are counted without a row for
+each pair: blocks give link counts of lines and a spanning forest.
+
+Lines are named by the 64-bit hash of their text.  Rows: null text has no lines; an empty text has
+one empty line; equal lines are one class always; repeated documents keep their own rows; extra
+columns are ignored; empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -20,22 +24,29 @@ from __future__ import annotations
 from collections import Counter
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phasewarp.llm.common import NO_ID, components, documents, shared_folder, shuffle_width, stored
+from phasewarp.llm.common import NO_ID, components, documents, release, shared_folder, shuffle_width, stored
 
 TAU = 2
-LEAST_CHARS = 24
-CROWD = 256
+CHARS_AN_EDIT = 12
 BLOCK = 512
+#: Rows of one key held at most before they flow on.
+HELD_ROWS = 200_000
+#: Lines that a task remembers as already indexed.
+SEEN_LINES = 200_000
 _WORD = (1 << 64) - 1
 
 
-def segments(size: int, tau: int = TAU) -> list[tuple[int, int]]:
+def allowed(size: int) -> int:
+    """Edits that a line of this size may be away from one that is no shorter."""
+    return min(TAU, size // CHARS_AN_EDIT)
+
+
+def segments(size: int, tau: int) -> list[tuple[int, int]]:
     """(start, length) of the tau + 1 segments of a line of this size; later ones are longer."""
     short, longer = divmod(size, tau + 1)
     out, at = [], 0
@@ -46,18 +57,23 @@ def segments(size: int, tau: int = TAU) -> list[tuple[int, int]]:
     return out
 
 
-def line_keys(line: str, tau: int = TAU, least: int = LEAST_CHARS) -> tuple[list[int], list[int]]:
-    """(index keys, probe keys) of a line."""
-    size, digest = len(line), xxhash.xxh64_intdigest
-    index = [digest(line[p : p + n], size * 16 + k) for k, (p, n) in enumerate(segments(size, tau))]
-    probe = []
-    for other in range(max(least, size - tau), size + 1):
-        gap = size - other
+def index_keys(line: str) -> list[int]:
+    size, tau = len(line), allowed(len(line))
+    return [xxhash.xxh64_intdigest(line[p : p + n], size * 16 + k) for k, (p, n) in enumerate(segments(size, tau))] if tau else []
+
+
+def probe_keys(line: str) -> list[int]:
+    """Keys of all lines no longer than this one that may be linked to it."""
+    size, digest, out = len(line), xxhash.xxh64_intdigest, []
+    for other in range(max(1, size - TAU), size + 1):
+        tau, gap = allowed(other), size - other
+        if not tau or gap > tau:
+            continue
         for k, (p, n) in enumerate(segments(other, tau)):
             first = max(0, p - k, p + gap - (tau - k))
             last = min(size - n, p + k, p + gap + (tau - k))
-            probe += [digest(line[s : s + n], other * 16 + k) for s in range(first, last + 1)]
-    return index, probe
+            out += [digest(line[s : s + n], other * 16 + k) for s in range(first, last + 1)]
+    return out
 
 
 def edits_within(a: str, b: str, tau: int = TAU) -> bool:
@@ -107,86 +123,86 @@ def edits_within(a: str, b: str, tau: int = TAU) -> bool:
     return distance <= tau
 
 
-def _key_batches(tau: int, least: int):
-    def run(batches):
-        for b in batches:
-            keys, refs = [], []
-            for lid, line in zip(b.column("lid").to_pylist(), b.column("line")):
-                index, probe = line_keys(line.as_py(), tau, least)
-                keys += index + probe
-                refs += [2 * lid] * len(index) + [2 * lid + 1] * len(probe)
-                if len(keys) > 400_000:
-                    yield _longs(["key", "ref"], [np.array(keys, np.uint64).view(np.int64), refs])
-                    keys, refs = [], []
-            if keys:
-                yield _longs(["key", "ref"], [np.array(keys, np.uint64).view(np.int64), refs])
-
-    return run
-
-
 def _longs(names: list[str], columns: list) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=names)
 
 
-def _run_batches(crowd: int):
-    """Sorted (key, ref) rows to pairs (0, a, b) of short runs and members (key, ref) of long ones
-    as (1, key, ref); a long run streams, it is never held."""
-
-    def run(batches):
-        last, held, flowing = None, [], False
-        for b in batches:
-            keys, refs = b.column("key").to_numpy(), b.column("ref").to_numpy()
-            cuts = np.flatnonzero(np.diff(keys)) + 1
-            starts, ends = np.concatenate(([0], cuts)), np.concatenate((cuts, [len(keys)]))
-            alone = (ends - starts == 1) & (np.arange(len(starts)) > 0) & (np.arange(len(starts)) < len(starts) - 1)
-            out: list[np.ndarray] = []
-            for s, e in zip(starts[~alone].tolist(), ends[~alone].tolist()):
-                key = int(keys[s])
-                if key != last:
-                    if last is not None and not flowing:
-                        out.append(_pairs(held))
-                    last, held, flowing = key, [], False
-                part = refs[s:e]
-                if flowing:
-                    out.append(_members(key, part))
-                    continue
-                held.append(part)
-                if sum(map(len, held)) > crowd:
-                    out.append(_members(key, np.concatenate(held)))
-                    held, flowing = [], True
-            rows = np.concatenate(out, axis=1) if out else np.zeros((3, 0), np.int64)
-            if rows.shape[1]:
-                yield _longs(["kind", "x", "y"], list(rows))
-        if last is not None and not flowing:
-            rows = _pairs(held)
-            if rows.shape[1]:
-                yield _longs(["kind", "x", "y"], list(rows))
-
-    return run
-
-
-def _pairs(held: list[np.ndarray]) -> np.ndarray:
-    refs = np.unique(np.concatenate(held)) if held else np.zeros(0, np.int64)
-    index, probe = refs[refs & 1 == 0] >> 1, refs[refs & 1 == 1] >> 1
-    if not len(index) or not len(probe):
+def _key_batches(batches):
+    """Lines ``(lid, line)`` to rows ``(key, side, lid)``, side 0 index and 1 probe; a line that this
+    task has had before is passed over, within a bound."""
+    seen: set[int] = set()
+    for b in batches:
+        keys, sides, lids = [], [], []
+        for lid, line in zip(b.column("lid").to_pylist(), b.column("line")):
+            if lid in seen:
+                continue
+            if len(seen) >= SEEN_LINES:
+                seen.clear()
+            seen.add(lid)
+            line = line.as_py()
+            index, probe = index_keys(line), probe_keys(line)
+            keys += index + probe
+            sides += [0] * len(index) + [1] * len(probe)
+            lids += [lid] * (len(index) + len(probe))
+            if len(keys) > 200_000:
+                yield _longs(["key", "side", "lid"], [np.array(keys, np.uint64).view(np.int64), sides, lids])
+                keys, sides, lids = [], [], []
+        if keys:
+            yield _longs(["key", "side", "lid"], [np.array(keys, np.uint64).view(np.int64), sides, lids])
+    seen.clear()
+    release()
+
+
+def _live(keys: np.ndarray, sides: np.ndarray, lids: np.ndarray, known: bool = False) -> np.ndarray:
+    """Distinct (key, side, lid) of whole runs of keys that hold an index row and two lines or more."""
+    if not len(keys):
         return np.zeros((3, 0), np.int64)
-    a, b = np.repeat(index, len(probe)), np.tile(probe, len(index))
-    apart = a != b
-    a, b = a[apart], b[apart]
-    return np.stack([np.zeros(len(a), np.int64), np.minimum(a, b), np.maximum(a, b)])
-
-
-def _members(key: int, refs: np.ndarray) -> np.ndarray:
-    return np.stack([np.ones(len(refs), np.int64), np.full(len(refs), key, np.int64), refs])
-
-
-def _verify_batches(tau: int):
-    def run(batches):
-        for b in batches:
-            good = [edits_within(x.as_py(), y.as_py(), tau) for x, y in zip(b.column("line_a"), b.column("line_b"))]
-            yield b.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
-
-    return run
+    starts = np.concatenate(([0], np.flatnonzero(np.diff(keys)) + 1))
+    good = (np.minimum.reduceat(sides, starts) == 0) & (np.minimum.reduceat(lids, starts) != np.maximum.reduceat(lids, starts)) | known
+    chosen = np.repeat(good, np.diff(np.concatenate((starts, [len(keys)]))))
+    rows = np.stack([keys[chosen], sides[chosen], lids[chosen]])
+    order = np.lexsort(rows[::-1])
+    rows = rows[:, order]
+    fresh = np.ones(rows.shape[1], bool)
+    fresh[1:] = (np.diff(rows, axis=1) != 0).any(axis=0)
+    return rows[:, fresh]
+
+
+def _live_batches(batches):
+    """Rows sorted by key and side to those of live runs.  A run longer than ``HELD_ROWS`` flows on
+    in parts: index rows come first, so by then it is known to be live or dead."""
+    held, flowing, dead = [np.zeros(0, np.int64)] * 3, None, None
+    for b in batches:
+        now = [np.concatenate((h, b.column(n).to_numpy())) for h, n in zip(held, ("key", "side", "lid"))]
+        if not len(now[0]):
+            continue
+        cut = int(np.searchsorted(now[0], now[0][-1]))  # the last run may go on
+        out, done = [], [c[:cut] for c in now]
+        if flowing is not None and cut and done[0][0] == flowing:
+            end = int(np.searchsorted(done[0], flowing, "right"))
+            out.append(_live(*(c[:end] for c in done), known=True))
+            done = [c[end:] for c in done]
+        if dead is not None and len(done[0]) and done[0][0] == dead:
+            done = [c[int(np.searchsorted(done[0], dead, "right")) :] for c in done]
+        out.append(_live(*done))
+        held = [c[cut:] for c in now]
+        last = int(held[0][0])
+        if last == dead:
+            held = [c[:0] for c in held]
+        elif last == flowing or len(held[0]) > HELD_ROWS:
+            if last != flowing and held[1][0] != 0:
+                dead, held = last, [c[:0] for c in held]
+            else:
+                flowing = last
+                out.append(_live(*held, known=True))
+                held = [c[:0] for c in held]
+        rows = np.concatenate(out, axis=1)
+        if rows.shape[1]:
+            yield _longs(["key", "side", "lid"], list(rows))
+    rows = _live(*held)
+    if rows.shape[1]:
+        yield _longs(["key", "side", "lid"], list(rows))
+    release()
 
 
 def _counts(lines: list[str]) -> np.ndarray:
@@ -197,77 +213,142 @@ def _counts(lines: list[str]) -> np.ndarray:
     return out
 
 
-def _block_pairs(tau: int):
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        index, probe = pdf[pdf["side"] == 0], pdf[pdf["side"] == 1]
-        found = []
-        if len(index) and len(probe):
-            left, right = _counts(index["line"].tolist()), _counts(probe["line"].tolist())
-            lids, lines = probe["lid"].to_numpy(), probe["line"].to_numpy(object)
-            for row, lid, line in zip(left, index["lid"].tolist(), index["line"].tolist()):
-                near = np.flatnonzero((np.abs(right - row).sum(axis=1) <= 2 * tau) & (lids != lid))
-                found += [(min(lid, lids[k]), max(lid, lids[k])) for k in near.tolist() if edits_within(line, lines[k], tau)]
-        return pd.DataFrame(found, columns=["a", "b"], dtype="int64")
+class _Keys:
+    """Keys of lines as sets, remembered within a bound."""
+
+    def __init__(self, make):
+        self.make, self.known = make, {}
+
+    def __call__(self, lid: int, line: str) -> set[int]:
+        found = self.known.get(lid)
+        if found is None:
+            if len(self.known) > 20_000:
+                self.known.clear()
+            found = self.known[lid] = set(self.make(line))
+        return found
+
+
+def _block_links(key: int, index: list[tuple], probe: list[tuple], keys: tuple[_Keys, _Keys]) -> list[tuple[int, int]]:
+    """Linked pairs of one block pair that are counted under this key: index lines are the shorter
+    ones, of equal length those of lesser lid."""
+    found = []
+    screen = len(index) * len(probe) > 64
+    right = _counts([x for _, x in probe]) if screen else None
+    left = _counts([x for _, x in index]) if screen else None
+    for k, (a, x) in enumerate(index):
+        near = np.flatnonzero(np.abs(right - left[k]).sum(axis=1) <= 2 * TAU).tolist() if screen else range(len(probe))
+        tau = allowed(len(x))
+        for j in near:
+            b, y = probe[j]
+            if a == b or len(x) > len(y) or len(x) == len(y) and a > b or not edits_within(x, y, tau):
+                continue
+            if min(keys[0](a, x) & keys[1](b, y)) == key:
+                found.append((a, b))
+    return found
+
+
+def _forest(pairs: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    root: dict[int, int] = {}
+
+    def find(i: int) -> int:
+        while root.setdefault(i, i) != i:
+            root[i] = root[root[i]]
+            i = root[i]
+        return i
+
+    out = []
+    for a, b in pairs:
+        x, y = find(a), find(b)
+        if x != y:
+            root[y] = x
+            out.append((a, b))
+    return out
+
+
+def _verify_batches(batches):
+    """Rows sorted by (key, p, q) to (0, a, b), edges of a forest, and (1, lid, links)."""
+    keys, now, index, probe = (_Keys(index_keys), _Keys(probe_keys)), None, [], []
 
-    return run
+    def ended():
+        pairs = _block_links(now[0] % (1 << 64), index, probe, keys) if index and probe else []
+        n = Counter(x for pair in pairs for x in pair)
+        return [(0, a, b) for a, b in _forest(pairs)] + [(1, x, c) for x, c in n.items()]
 
+    for b in batches:
+        out: list[tuple[int, int, int]] = []
+        for key, p, q, side, lid, line in zip(*(b.column(n).to_pylist() for n in ("key", "p", "q", "side", "lid", "line"))):
+            if (key, p, q) != now:
+                out += ended() if now else []
+                now, index, probe = (key, p, q), [], []
+            (probe if side else index).append((lid, line))
+        if out:
+            yield _longs(["kind", "x", "y"], list(zip(*out)))
+    if now and (out := ended()):
+        yield _longs(["kind", "x", "y"], list(zip(*out)))
+    release()
 
-def edit_links(lines: DataFrame, folder: str, tau: int = TAU, least: int = LEAST_CHARS, crowd: int = CROWD) -> DataFrame:
-    """Verified links ``(a, b)``, a < b, between ``lines(lid, line)`` at most tau edits apart."""
+
+def live_keys(lines: DataFrame) -> DataFrame:
+    """``(key, side, lid)`` of keys under which two different ``lines(lid, line)`` or more meet."""
     width = shuffle_width(lines.sparkSession)
-    long_lines = lines.filter(F.length("line") >= least)
-    found = stored(
-        long_lines.select("lid", "line")
-        .mapInArrow(_key_batches(tau, least), "key long, ref long")
+    return (
+        lines.filter(F.length("line") >= CHARS_AN_EDIT)
+        .select("lid", "line")
+        .mapInArrow(_key_batches, "key long, side long, lid long")
         .repartition(width, "key")
-        .sortWithinPartitions("key")
-        .mapInArrow(_run_batches(crowd), "kind long, x long, y long"),
-        folder, "found",
-    )
-    pairs = found.filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
-    texts = long_lines.select("lid", "line")
-    verified = (
-        pairs.join(texts.select(F.col("lid").alias("a"), F.col("line").alias("line_a")), "a")
-        .join(texts.select(F.col("lid").alias("b"), F.col("line").alias("line_b")), "b")
-        .select("a", "b", "line_a", "line_b")
-        .mapInArrow(_verify_batches(tau), "a long, b long")
+        .sortWithinPartitions("key", "side")
+        .mapInArrow(_live_batches, "key long, side long, lid long")
     )
-    crowds = found.filter("kind = 1").select(F.col("x").alias("key"), F.expr("y % 2").alias("side"), F.expr("shiftright(y, 1)").alias("lid"))
-    blocks = crowds.groupBy("key").agg(F.ceil(F.count("*") / F.lit(BLOCK)).cast("int").alias("n"))
-    mine = F.pmod(F.xxhash64("lid"), F.col("n")).cast("int")
-    others = F.explode(F.sequence(F.lit(0), F.col("n") - 1))
-    dealt = (
-        crowds.join(blocks, "key").join(texts, "lid")
-        .withColumn("mine", mine).withColumn("other", others)
-        .select("key", "lid", "side", "line",
-                F.when(F.col("side") == 0, F.col("mine")).otherwise(F.col("other")).alias("p"),
-                F.when(F.col("side") == 0, F.col("other")).otherwise(F.col("mine")).alias("q"))
+
+
+def edit_links(live: DataFrame, texts: DataFrame, folder: str) -> tuple[DataFrame, DataFrame]:
+    """(forest ``(a, b)`` of the links, counts ``(lid, links)``) between ``texts(lid, line)`` that
+    meet in ``live`` keys."""
+    width = shuffle_width(live.sparkSession)
+    sizes = live.groupBy("key").agg(F.ceil(F.count("*") / F.lit(BLOCK)).cast("int").alias("n"))
+    placed = live.join(sizes, "key").withColumn("mine", F.pmod(F.xxhash64("lid"), F.col("n")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
+    dealt = placed.select(
+        "key", "lid", "side",
+        F.when(F.col("side") == 0, F.col("mine")).otherwise(F.col("other")).alias("p"),
+        F.when(F.col("side") == 0, F.col("other")).otherwise(F.col("mine")).alias("q"),
+    )
+    found = stored(
+        dealt.join(texts, "lid").repartition(width, "key", "p", "q").sortWithinPartitions("key", "p", "q").mapInArrow(_verify_batches, "kind long, x long, y long"),
+        folder, "found",
     )
-    return verified.unionByName(dealt.groupBy("key", "p", "q").applyInPandas(_block_pairs(tau), "a long, b long")).distinct()
+    edges = found.filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b"))
+    return edges, found.filter("kind = 1").groupBy(F.col("x").alias("lid")).agg(F.sum("y").alias("links"))
 
 
-def line_classes(docs: DataFrame, tau: int = TAU, least: int = LEAST_CHARS, crowd: int = CROWD) -> DataFrame:
+def line_classes(docs: DataFrame) -> DataFrame:
     """Per line of every document ``doc_id, line_no, class_doc, class_line, links, kept``.
 
     The class is named by its first line in (doc_id, line_no) order, null ids first; ``links``
-    counts other distinct lines at most tau edits away; ``kept`` marks the first line itself (of
+    counts other distinct lines within the allowed edits; ``kept`` marks the first line itself (of
     repeated documents, one copy).
     """
     folder = shared_folder(docs.sparkSession)
-    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("id_key"), F.posexplode(F.split("text", "\n", -1)).alias("line_no", "line"))
-    distinct = stored(rows.groupBy("line").agg(F.min(F.struct("id_key", "line_no")).alias("first")).withColumn("lid", F.monotonically_increasing_id()), folder, "lines")
-    links = stored(edit_links(distinct, folder, tau, least, crowd), folder, "links")
-    ends = links.select(F.col("a").alias("lid")).unionAll(links.select(F.col("b").alias("lid"))).groupBy("lid").agg(F.count("*").alias("links"))
-    roots = components(links, folder).select(F.col("node").alias("lid"), "root")
-    named = distinct.select("lid", F.md5("line").alias("h"), "first").join(roots, "lid", "left").join(ends, "lid", "left")
-    named = named.withColumn("root", F.coalesce("root", "lid"))
-    tops = named.filter("links IS NOT NULL").groupBy("root").agg(F.min("first").alias("top"))
-    classes = named.join(tops, "root", "left").select("h", F.coalesce("top", "first").alias("top"), F.coalesce("links", F.lit(0)).alias("links"))
+    base = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("id_key"), F.col("text").cast("string").alias("text"))
+    lines = base.select("id_key", F.posexplode(F.split("text", "\n", -1)).alias("line_no", "line")).withColumn("lid", F.xxhash64("line"))
+    rows = stored(lines.select("id_key", "line_no", "lid"), folder, "rows")
+    live = stored(live_keys(lines), folder, "live")
+    first = stored(rows.groupBy("lid").agg(F.min(F.struct("id_key", "line_no")).alias("first")), folder, "first")
+    # the texts of lines that meet others, read at their first places
+    asked = live.select("lid").distinct().join(first, "lid").groupBy(F.col("first.id_key").alias("id_key"))
+    asked = asked.agg(F.collect_list(F.struct(F.col("first.line_no").alias("line_no"), "lid")).alias("wanted"))
+    texts = base.join(asked, "id_key").select(F.split("text", "\n", -1).alias("lines"), F.explode("wanted").alias("w"))
+    texts = texts.select(F.col("w.lid").alias("lid"), F.get("lines", F.col("w.line_no")).alias("line")).filter(F.xxhash64("line") == F.col("lid"))
+    texts = stored(texts.dropDuplicates(["lid"]), folder, "texts")
+    edges, counts = edit_links(live, texts, folder)
+    roots = stored(components(edges, folder).select(F.col("node").alias("lid"), "root"), folder, "roots")
+    named = first.join(roots, "lid").join(counts, "lid")
+    tops = named.groupBy("root").agg(F.min("first").alias("top"))
+    linked = named.join(tops, "root").select("lid", "top", "links")
+    classes = first.join(linked, "lid", "left").select("lid", F.coalesce("top", "first").alias("top"), F.coalesce("links", F.lit(0)).alias("links"))
     placed = (
-        rows.select("id_key", "line_no", F.md5("line").alias("h"))
-        .groupBy("id_key", "line_no", "h")
+        rows.groupBy("id_key", "line_no", "lid")
         .agg(F.count("*").alias("n"))
-        .join(classes, "h")
+        .join(classes, "lid")
         .select("*", F.explode(F.sequence(F.lit(1), F.col("n").cast("int"))).alias("copy_no"))
     )
     known = lambda c: F.when(c != NO_ID, c)

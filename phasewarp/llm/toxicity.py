@@ -129,7 +129,7 @@ class Restorer:
 class Words:
     """Words of a text as scored: lower case, edges stripped, odd ones restored (remembered)."""
 
-    def __init__(self, model: np.ndarray, most: int = 100_000):
+    def __init__(self, model: np.ndarray, most: int = 40_000):
         self.restore, self.known, self.most = Restorer(model), {}, most
 
     def word(self, raw: str) -> str:
@@ -197,7 +197,7 @@ class Scorer:
         if found is None:
             found = self._weigh(self.words.word(raw))
             if len(raw) <= LONGEST_KEY:
-                if len(self.known) >= 150_000:
+                if len(self.known) >= 100_000:
                     self.known.clear()
                 self.known[raw] = found
         return found
@@ -213,7 +213,7 @@ class Scorer:
 
     def signals(self, text: str | None) -> tuple[float, ...]:
         if self.words is None:
-            self.words = Words(self.model)
+            self.words = Words(self.model, 1_000)  # weights are remembered here, so restored words need not be
         low = (text or "").lower()
         words = set(low.split())
         heavy = [w for w in map(self.weight, words) if w]

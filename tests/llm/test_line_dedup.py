@@ -4,7 +4,6 @@ import random
 import pytest
 
 from phasewarp.llm import line_dedup as ld
-from phasewarp.llm.common import shared_folder
 
 
 def distance(a, b):
@@ -33,33 +32,70 @@ def test_banded_distance_equals_the_definition():
             assert ld.edits_within(a, b, tau) == (distance(a, b) <= tau), (a, b, tau)
 
 
+def near(a, b):
+    return distance(a, b) <= ld.allowed(min(len(a), len(b)))
+
+
 def test_near_lines_share_a_key():
     rng = random.Random(5)
-    for _ in range(400):
-        a = "".join(rng.choice("abcdef") for _ in range(rng.randrange(26, 70)))
+    for _ in range(600):
+        a = "".join(rng.choice("abcdef") for _ in range(rng.randrange(10, 70)))
         b = mutate(rng, a, rng.randrange(0, 3))
-        if min(len(a), len(b)) < ld.LEAST_CHARS or distance(a, b) > 2:
-            continue
         short, long_ = sorted((a, b), key=len)
-        assert set(ld.line_keys(short)[0]) & set(ld.line_keys(long_)[1])
+        if a != b and near(a, b) and ld.allowed(len(short)):
+            assert set(ld.index_keys(short)) & set(ld.probe_keys(long_))
+            if len(a) == len(b):
+                assert set(ld.index_keys(long_)) & set(ld.probe_keys(short))
 
 
 @pytest.fixture(scope="module")
 def lines():
     rng = random.Random(6)
     out = set()
-    for _ in range(25):
-        base = "".join(rng.choice("abcdefghij ") for _ in range(rng.randrange(20, 60)))
-        out |= {mutate(rng, base, rng.randrange(0, 5)) for _ in range(12)}
-    return sorted(out)
-
-
-def test_links_match_brute_force(spark, lines):
-    frame = spark.createDataFrame(list(enumerate(lines)), "lid long, line string")
-    want = {(i, j) for (i, a), (j, b) in itertools.combinations(enumerate(lines), 2) if min(len(a), len(b)) >= 24 and distance(a, b) <= 2}
-    assert want
-    for crowd in (256, 3):
-        assert {(r.a, r.b) for r in ld.edit_links(frame, shared_folder(spark), crowd=crowd).collect()} == want
+    for _ in range(30):
+        base = "".join(rng.choice("abcdefghij ") for _ in range(rng.choice((5, 11, 12, 14, 22, 24, 25, 30, 60))))
+        out |= {mutate(rng, base, rng.randrange(0, 4)) for _ in range(12)}
+    return sorted(x for x in out if x)
+
+
+def test_links_and_classes_match_brute_force(make_docs, lines, monkeypatch):
+    want = {(i, j) for (i, a), (j, b) in itertools.combinations(enumerate(lines), 2) if near(a, b)}
+    assert len(want) > 100
+    root = list(range(len(lines)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i, j in want:
+        a, b = sorted((find(i), find(j)))
+        root[b] = a
+    docs = make_docs([(k, "\n".join(lines[k * 7 : k * 7 + 7]), "s") for k in range(-(-len(lines) // 7))])
+    for block, held in ((ld.BLOCK, ld.HELD_ROWS), (3, 2)):
+        monkeypatch.setattr(ld, "BLOCK", block)
+        monkeypatch.setattr(ld, "HELD_ROWS", held)
+        got = {r.doc_id * 7 + r.line_no: r for r in ld.line_classes(docs).collect()}
+        assert len(got) == len(lines)
+        for k in range(len(lines)):
+            assert got[k].links == sum(k in pair for pair in want), lines[k]
+            assert got[k].class_doc * 7 + got[k].class_line == find(k), lines[k]
+
+
+def test_live_runs_stream():
+    rng = random.Random(12)
+    rows = sorted((rng.randrange(40), rng.randrange(2), rng.randrange(60)) for _ in range(900)) + [(99, 0, 1), (99, 1, 1)] + [(100, 1, k) for k in range(50)]
+    by_key = {}
+    for k, s, x in rows:
+        by_key.setdefault(k, set()).add((s, x))
+    want = {(k, s, x) for k, v in by_key.items() if any(s == 0 for s, _ in v) and len({x for _, x in v}) > 1 for s, x in v}
+    for size in (1, 7, 100, 2000):
+        for held in (5, 10_000):
+            ld.HELD_ROWS, before = held, ld.HELD_ROWS
+            parts = [ld._longs(["key", "side", "lid"], list(zip(*rows[k : k + size]))) for k in range(0, len(rows), size)]
+            got = [tuple(r.values()) for b in ld._live_batches(parts) for r in b.to_pylist()]
+            ld.HELD_ROWS = before
+            assert set(got) == want
 
 
 def test_classes(spark, make_docs, odd_rows):
