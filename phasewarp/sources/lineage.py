@@ -9,9 +9,13 @@ from pyspark.sql import DataFrame
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """``df`` after a reliable checkpoint, in the folder that the session names; where none is
-    named (tests, one machine) a temporary one is set once."""
+    """``df`` after a reliable checkpoint, in the folder that the session names.  Where none is
+    named, a temporary one is set once if the session runs on this machine alone; on a cluster that
+    is an error, since executors would not see each other's files."""
     spark = df.sparkSession
     if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="phasewarp-"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and (not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        spark.sparkContext.setCheckpointDir(named or tempfile.mkdtemp(prefix="phasewarp-"))
     return df.checkpoint()
