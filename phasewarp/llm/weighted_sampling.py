@@ -146,10 +146,11 @@ def compare(docs: DataFrame, parts: int | None = None) -> DataFrame:
     edited = F.concat(F.substring(F.col("text"), F.lit(1), (n - third)), F.substring(F.col("next_text"), F.lit(1), third))
     rows = with_next(docs, parts).withColumn("edited", F.when(F.col("guest") == 0, edited))
     both = F.array(F.struct(F.lit(0).alias("v"), F.col("text").alias("t")), F.struct(F.lit(1).alias("v"), F.col("edited").alias("t")))
-    texts = rows.select("part", "rid", F.explode(both).alias("e")).select("part", "rid", "e.v", "e.t").filter("t IS NOT NULL")
+    # doc_id goes along so that both readers of the dealt rows need the same columns and share one shuffle
+    texts = rows.select("part", "rid", "doc_id", F.explode(both).alias("e")).select("part", "rid", "doc_id", "e.v", "e.t").filter("t IS NOT NULL")
     order = Window.partitionBy("part").orderBy("rid")
     signed = (
-        slot_winners(texts, ["part", "rid"], 2)
+        slot_winners(texts, ["part", "rid", "doc_id"], 2)
         .select("part", "rid", slot_signature(F.col("best0")).alias("sig"), slot_signature(F.col("best1")).alias("edited_sig"))
         .withColumn("next_sig", F.lead("sig").over(order))
         .filter("next_sig IS NOT NULL")  # a range's last row is a guest
