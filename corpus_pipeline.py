@@ -27,8 +27,9 @@ def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group, the one with the smallest id; five-word shingles."""
-    return simhash_golay.keep_one(docs, shingle=5)
+    """One document of each near-duplicate group, the one with the smallest id: five-word shingles,
+    Jaccard similarity of 0.8 or more."""
+    return simhash_golay.keep_one(docs, shingle=5, least=0.8)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -153,7 +153,7 @@ def text_units(texts: list[tuple], hashes: WordHashes) -> tuple[np.ndarray, ...]
     )
 
 
-def _batched(columns: pa.RecordBatch, first: str):
+def batched(columns: pa.RecordBatch, first: str):
     """Rows of a batch in lists of bounded text."""
     rows, held = [], 0
     others = [n for n in columns.schema.names if n != first and n != "text"]
@@ -167,6 +167,10 @@ def _batched(columns: pa.RecordBatch, first: str):
         yield rows
 
 
+def long_lists(parts: list[np.ndarray]) -> pa.ListArray:
+    return _lists(parts, pa.int64())
+
+
 def _lists(parts: list[np.ndarray], kind) -> pa.ListArray:
     offsets = np.concatenate(([0], np.cumsum([len(p) for p in parts]))).astype(np.int32)
     return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(parts) if parts else np.zeros(0), kind))
@@ -175,7 +179,7 @@ def _lists(parts: list[np.ndarray], kind) -> pa.ListArray:
 def _unit_batches(batches):
     hashes = WordHashes()
     for b in batches:
-        for rows in _batched(b, "key"):
+        for rows in batched(b, "key"):
             key, start, words, unit, bands = text_units(rows, hashes)
             counts = np.concatenate([np.full(len(bands), BANDS), np.zeros(len(key) - len(bands), np.int64)])
             offsets = np.concatenate(([0], np.cumsum(counts))).astype(np.int32)
@@ -192,7 +196,7 @@ def _detail_batches(batches):
     of all runs of ``LEAST`` words around hits, and the shingle sets."""
     hashes = WordHashes()
     for b in batches:
-        for rows in _batched(b, "key"):
+        for rows in batched(b, "key"):
             starts, runs, units, sets, key = [], [], [], [], []
             for k, text, hits, wanted in rows:
                 h = hashes.of(text_words(text)[0])

@@ -14,6 +14,12 @@ Rows: null and empty texts have fingerprint zero and link like any others; equal
 collapse before any join.  Keys shared by more than ``HOT`` fingerprints are not paired: their
 members are linked through midpoints (a fingerprint and its 64 one-bit neighbours), which is the
 same relation, linear in the members.
+
+*Similarity.*  At a Jaccard similarity of 0.8 a tenth or more of a fingerprint's bits differ, which
+is beyond what keys of 64 bits can find.  :func:`similar_groups`, the pipeline's form, therefore
+takes two kinds of candidates, texts whose fingerprints link as above and texts that share one of
+the MinHash bands of the same shingle hashes, and verifies both by the exact Jaccard similarity of
+their shingle sets.  Texts without words have one set in common.
 """
 
 from __future__ import annotations
@@ -26,10 +32,13 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phasewarp.llm.common import NO_ID, components, documents, first_of_each, release, shared_folder, stored
+from phasewarp.llm.common import NO_ID, ascii_lower, components, documents, first_of_each, release, shared_folder, stored
+from phasewarp.llm.passage_dedup import Candidates, batched, long_lists, signatures
 
 HOT = 200
 SHINGLE = 3
+#: Members of a candidate group that are verified pair by pair; larger groups are dealt in blocks.
+CROWD = 8
 SEGMENTS = ((0, 22), (22, 21), (43, 21))
 #: Fixed value: generator polynomial of the [23, 12] Golay code, x^11+x^10+x^6+x^5+x^4+x^2+1.
 GOLAY = 0b110001110101
@@ -91,17 +100,23 @@ def codeword_keys(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(rows), np.concatenate(keys)
 
 
-def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
+def shingle_hashes(text: str | None, shingle: int = SHINGLE) -> np.ndarray:
+    """XXH64 (seed 42) of the shingles in order, repeats included; a text of fewer words is one
+    shingle, a text of none has none."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     k = max(1, len(words) - shingle + 1)
     line = b" ".join(words)
     ends = np.cumsum([len(w) + 1 for w in words]) - 1
     starts = np.concatenate(([0], ends[:-1] + 1))[:k]
     ends = ends[min(shingle, len(words)) - 1 :][:k]
     digest = xxhash.xxh64_intdigest
-    h = np.array([digest(line[a:b], 42) for a, b in zip(starts.tolist(), ends.tolist())], dtype=np.uint64)
+    return np.array([digest(line[a:b], 42) for a, b in zip(starts.tolist(), ends.tolist())], dtype=np.uint64)
+
+
+def majority(h: np.ndarray) -> int:
+    """The fingerprint of shingle hashes: bits set in over half of them."""
     ones = np.zeros(64, np.int64)
     for at in range(0, len(h), 65536):
         part = h[at : at + 65536]
@@ -110,6 +125,10 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
     return int(bits.view("<u8")[0])
 
 
+def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
+    return majority(shingle_hashes(text, shingle))
+
+
 def _fingerprint_batches(shingle: int):
     def run(batches):
         for b in batches:
@@ -133,17 +152,10 @@ def _key_batches(batches):
         yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out_key)), pa.array(np.concatenate(out_fp))], names=["key", "fp"])
 
 
-def _text_key(text):
-    """Tells texts apart; null counts as empty, which it equals in fingerprint."""
-    return F.md5(F.coalesce(text.cast("string"), F.lit("")))
-
-
-def fingerprints(docs: DataFrame, keyed: bool = False, shingle: int = SHINGLE) -> DataFrame:
-    """``(doc_id, fp)`` with the fingerprint as a signed 64-bit number; with ``keyed`` also
-    ``text_key`` between them."""
-    key = [_text_key(F.col("text")).alias("text_key")] if keyed else []
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), *key, F.col("text").cast("string").alias("text")).mapInArrow(
-        _fingerprint_batches(shingle), "doc_id long, text_key string, fp long" if keyed else "doc_id long, fp long"
+def fingerprints(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
+    """``(doc_id, fp)`` with the fingerprint as a signed 64-bit number."""
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(
+        _fingerprint_batches(shingle), "doc_id long, fp long"
     )
 
 
@@ -168,11 +180,11 @@ def links(prints: DataFrame, folder: str, hot: int = HOT) -> DataFrame:
     return pairs.unionByName(through).distinct()
 
 
-def near_groups(docs: DataFrame, hot: int = HOT, keyed: bool = False, shingle: int = SHINGLE) -> DataFrame:
-    """Per row ``doc_id, fingerprint, component_id`` (and ``fp``, ``doc_id`` kept as given); with
-    ``keyed`` also ``text_key`` and ``root``, which names the group where ids do not."""
+def near_groups(docs: DataFrame, hot: int = HOT, shingle: int = SHINGLE) -> DataFrame:
+    """Per row ``doc_id, fingerprint, component_id`` over fingerprints linked at two or fewer bits
+    (and ``fp``, ``doc_id`` kept as given)."""
     folder = shared_folder(docs.sparkSession)
-    rows = stored(fingerprints(docs, keyed, shingle), folder, "fingerprints")
+    rows = stored(fingerprints(docs, shingle), folder, "fingerprints")
     distinct = stored(
         rows.groupBy("fp").agg(F.min(F.coalesce("doc_id", F.lit(NO_ID))).alias("least")), folder, "distinct"
     )
@@ -180,28 +192,84 @@ def near_groups(docs: DataFrame, hot: int = HOT, keyed: bool = False, shingle: i
     roots = components(linked, folder)
     members = distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     top = members.groupBy("root").agg(F.min("least").alias("component"))
-    names = stored(members.join(top, "root").select("fp", "component", *(["root"] if keyed else [])), folder, "names")
+    names = stored(members.join(top, "root").select("fp", "component"), folder, "names")
     return rows.join(names, "fp").select(
         "doc_id",
         F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"),
         F.when(F.col("component") != NO_ID, F.col("component")).alias("component_id"),
         "fp",
-        *(["text_key", "root"] if keyed else []),
     )
 
 
-def keep_one(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
-    """One row of each near-duplicate group stays: the one with the smallest ``doc_id`` (null is
+def _sets(text: str | None, shingle: int) -> np.ndarray:
+    h = shingle_hashes(text, shingle)
+    return h if len(h) else np.zeros(1, np.uint64)
+
+
+def _print_batches(shingle: int):
+    """Rows ``(unit, text)`` to fingerprints and MinHash bands."""
+
+    def run(batches):
+        for b in batches:
+            for rows in batched(b, "unit"):
+                prints = np.array([fingerprint(text, shingle) for _, text in rows], np.uint64)
+                sets = [_sets(text, shingle) for _, text in rows]
+                sizes = np.array([len(h) for h in sets])
+                with np.errstate(over="ignore"):
+                    bands = signatures(np.concatenate(sets), np.cumsum(sizes) - sizes)
+                yield pa.RecordBatch.from_arrays([pa.array([u for u, _ in rows], pa.int64()), pa.array(prints.view(np.int64)), long_lists(list(bands))], names=["unit", "fp", "bands"])
+        release()
+
+    return run
+
+
+def _set_batches(shingle: int):
+    """Rows ``(unit, text)`` to shingle sets."""
+
+    def run(batches):
+        for b in batches:
+            for rows in batched(b, "unit"):
+                sets = [np.unique(_sets(text, shingle)).view(np.int64) for _, text in rows]
+                yield pa.RecordBatch.from_arrays([pa.array([u for u, _ in rows], pa.int64()), long_lists(sets)], names=["unit", "shingles"])
+        release()
+
+    return run
+
+
+def _named(docs: DataFrame) -> DataFrame:
+    """``unit`` names a text by the 64-bit hash of its lower-cased form; null counts as empty."""
+    return docs.select(F.xxhash64(ascii_lower(F.col("text").cast("string"))).alias("unit"), F.col("text").cast("string").alias("text"))
+
+
+def similar_groups(docs: DataFrame, shingle: int = 5, least: float = 0.8, crowd: int = CROWD) -> DataFrame:
+    """``(unit, root)`` of the texts that are linked to others: components of "shingle sets have a
+    Jaccard similarity of ``least`` or more" over the candidates."""
+    folder = shared_folder(docs.sparkSession)
+    prints = stored(_named(docs).mapInArrow(_print_batches(shingle), "unit long, fp long, bands array<long>"), folder, "prints")
+    near = components(links(prints.select("fp").distinct(), f"{folder}/golay"), f"{folder}/golay")
+    close = prints.select("unit", "fp").join(near, F.col("fp") == F.col("node"), "left")
+    close = close.select("unit", F.array(F.xxhash64(F.lit("golay"), F.coalesce("root", "fp"))).alias("bands"))
+    met = Candidates(prints.select("unit", "bands").unionAll(close), folder, crowd)
+    # the copies of a text are equal once lower-cased, so any of them gives its set
+    wanted = _named(docs).join(stored(met.units, folder, "units"), "unit").groupBy("unit").agg(F.min("text").alias("text"))
+    sets = stored(wanted.mapInArrow(_set_batches(shingle), "unit long, shingles array<long>"), folder, "sets")
+    linked = stored(met.links(sets, least), folder, "links")
+    return stored(components(linked, f"{folder}/roots").select(F.col("node").alias("unit"), "root"), folder, "groups")
+
+
+def keep_one(docs: DataFrame, shingle: int = 5, least: float = 0.8) -> DataFrame:
+    """One row of each group of near copies stays: the one with the smallest ``doc_id`` (null is
     smallest; of several texts under it the one whose MD5 sorts first, of repeated rows the one
     whose JSON form does).  Groups are told apart by their root, since rows of several groups may
     share an id or have none.  The choice is made on narrow columns."""
-    near = near_groups(docs, keyed=True, shingle=shingle)
-    same = F.col("doc_id").eqNullSafe(F.col("component_id"))
-    kept = near.filter(same).groupBy(F.coalesce("doc_id", F.lit(NO_ID)).alias("id_key"), "text_key", "root").agg(F.count("*").alias("n"))
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    keys = {"id_key": F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)), "text_key": F.md5(text)}
+    rows = docs.select(*[c.alias(n) for n, c in keys.items()], F.xxhash64(ascii_lower(text)).alias("unit"))
+    grouped = rows.join(similar_groups(docs, shingle, least), "unit", "left").withColumn("group", F.coalesce("root", "unit"))
+    kept = grouped.groupBy("id_key", "text_key", "group").agg(F.count("*").alias("n"))
     # texts of a group under one id: the first by key stays, so a group has one (id, text)
-    kept = kept.groupBy("root").agg(F.min(F.struct("text_key", "id_key", "n")).alias("top")).select("top.*")
-    keyed = docs.withColumn("id_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))).withColumn("text_key", _text_key(F.col("text")))
-    return first_of_each(keyed.join(kept, ["id_key", "text_key"]), ["id_key", "text_key"], docs.columns)
+    kept = kept.groupBy("group").agg(F.min(F.struct("id_key", "text_key", "n")).alias("top")).select("top.*")
+    return first_of_each(docs.withColumns(keys).join(kept, list(keys)), list(keys), docs.columns)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

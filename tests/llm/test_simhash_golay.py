@@ -102,6 +102,64 @@ def test_keep_one_keeps_a_row_of_every_group_without_ids_of_its_own(make_docs):
     assert sorted(kept, key=str) == sorted(want, key=str)
 
 
+def jaccard_classes(texts, shingle=5, least=0.8):
+    """Classes of lower-cased texts by exact similarity of all pairs."""
+    sets = {}
+    for t in texts:
+        low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in (t or ""))
+        words = low.encode().split()
+        sets[low] = {tuple(words[i : i + shingle]) for i in range(max(1, len(words) - shingle + 1))}
+    root = {t: t for t in sets}
+
+    def find(t):
+        while root[t] != t:
+            t = root[t]
+        return t
+
+    for a, b in itertools.combinations(sorted(sets), 2):
+        both = len(sets[a] & sets[b])
+        if both >= least * (len(sets[a]) + len(sets[b]) - both):
+            x, y = sorted((find(a), find(b)))
+            root[y] = x
+    return {t: find(t) for t in sets}
+
+
+def test_similar_groups_match_brute_force_on_edited_texts(make_docs):
+    rng = random.Random(23)
+    rows, words = [], [f"w{k}" for k in range(4000)]
+    for family in range(12):
+        base = [rng.choice(words) for _ in range(rng.choice((40, 120, 400)))]
+        for copy in range(1 if family < 4 else 14):
+            text = list(base)
+            for _ in range(rng.randrange(0, max(2, len(base) // 40))):
+                text[rng.randrange(len(text))] = rng.choice(words)
+            rows.append((len(rows), " ".join(text), "s"))
+    rows += [(len(rows) + k, t, "s") for k, t in enumerate((None, "", " \n", "one two", "One Two", "one two three"))]
+    want = jaccard_classes([t for _, t, _ in rows])
+    low = lambda t: (t or "").lower()  # noqa: E731  (the texts are ASCII)
+    first = {}
+    for i, t, _ in rows:
+        first.setdefault(want[low(t)], i)
+    assert 12 < len(first) < len(rows) / 2
+    for crowd in (64, 2):
+        docs = make_docs(rows)
+        found = {r.unit: r.root for r in sg.similar_groups(docs, crowd=crowd).collect()}
+        units = sg._named(docs).select("unit", "text").collect()
+        got = {low(r.text): found.get(r.unit, r.unit) for r in units}
+        classes = lambda m: {frozenset(t for t in m if m[t] == r) for r in set(m.values())}
+        assert classes(got) == classes(want)
+    assert sorted(r.doc_id for r in sg.keep_one(docs).collect()) == sorted(first.values())
+    assert sg.keep_one(make_docs([])).count() == 0
+
+
+def test_similar_groups_match_brute_force_on_the_table(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    texts = [r.text for r in docs.select("text").collect()]
+    want = jaccard_classes(texts)
+    kept = [r.text for r in sg.keep_one(docs).collect()]
+    assert len(kept) == len(set(want.values())) < len(texts)
+
+
 def test_table_matches_brute_force(spark, sf):
     rows = sg.query(spark, sf).collect()
     texts = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
