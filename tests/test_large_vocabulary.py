@@ -5,7 +5,8 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from phasewarp.operators import popularity, signatures, similarity, wordrank
+from phasewarp.operators import frequency, popularity, signatures, similarity, wordrank
+from phasewarp.plans import queries
 
 SCHEMA = "event string, medium string, phase int, word string, freq long"
 
@@ -90,6 +91,17 @@ def test_pair_totals_equal_sums_over_the_pairs(spark):
             assert np.allclose(r[2:], found[r.event, r.medium][3:])
 
 
+@pytest.mark.parametrize("name, beta", [("sem_beta0", 0.0)])
+def test_semantic_totals_of_one_corpus_make_no_pair_rows(spark, sf, monkeypatch, name, beta):
+    words = queries.p1_words(spark, sf)
+    kept = queries._kept(spark, sf, queries.TH, words=frequency.vocabulary(words))
+    pairs = similarity.edges(kept, queries.vectors_of(spark, sf, words), queries.SCOPE, beta, only_positive=False)
+    want = {r[:2]: r[2:] for r in pairs.groupBy(*queries.SCOPE).agg(F.count("*"), F.sum("sem"), F.max("sem")).collect()}
+    monkeypatch.setattr(similarity, "edges", lambda *a, **k: pytest.fail("pairs were made"))
+    got = {r[:2]: r[2:] for r in queries.QUERIES[name](spark, sf).collect()}
+    assert got.keys() == want.keys() and all(np.allclose(got[k], want[k], rtol=1e-9, atol=1e-5) for k in want)
+
+
 def test_signatures_draw_a_word_once_a_series(spark):
     rows = [("e", m, p, w) for m in "AB" for p in range(1, 9) for w in ("one", "two", f"x{p}")]
     contrib = spark.createDataFrame(rows, "event string, medium string, phase int, word string")
