@@ -91,7 +91,7 @@ def test_pair_totals_equal_sums_over_the_pairs(spark):
             assert np.allclose(r[2:], found[r.event, r.medium][3:])
 
 
-@pytest.mark.parametrize("name, beta", [("sem_beta0", 0.0)])
+@pytest.mark.parametrize("name, beta", [("sem_beta0", 0.0), ("sem_beta1", 1.0)])
 def test_semantic_totals_of_one_corpus_make_no_pair_rows(spark, sf, monkeypatch, name, beta):
     words = queries.p1_words(spark, sf)
     kept = queries._kept(spark, sf, queries.TH, words=frequency.vocabulary(words))
