@@ -91,6 +91,27 @@ def test_pair_totals_equal_sums_over_the_pairs(spark):
             assert np.allclose(r[2:], found[r.event, r.medium][3:])
 
 
+@pytest.mark.parametrize("gamma, beta", [(similarity.GAMMA, 0.7), (similarity.GAMMA, 1.0), (0.2, 0.0), (0.9, 0.7)])
+def test_only_words_without_a_common_character_are_compared_for_clipping(monkeypatch, gamma, beta):
+    rng = np.random.default_rng(8)
+    words = sorted({"".join(rng.choice(list("aaaeeeioubcdfghklmnrst"), rng.integers(1, 9))) for _ in range(700)} | {"a" * 90 + "b" * 2, "b", "e" * 40, "éß", "2024"})
+    vec = lambda: [None if k == 3 else rng.normal(size=8) for k in range(len(words))]
+    told = pd.DataFrame({"word": words, "vec_r": vec(), "vec_d": vec()})
+    held = similarity.WordSimilarity(told, beta, gamma)
+    monkeypatch.setattr(similarity.WordSimilarity, "HELD_WORDS", 0)
+    monkeypatch.setattr(similarity.WordSimilarity, "TILE", 50)
+    made = similarity.WordSimilarity(told, beta, gamma)
+    member = (rng.random((len(words), 6)) < [0.5, 0.5, 0.9, 1, 0, 0]).astype(float)
+    member[7, 4] = member[[0, -1], 5] = 1.0  # a word alone, two words
+    want = held.whole @ member
+    assert np.allclose(made.signed(member) + made.clipped(member, np.float64), want, rtol=1e-12, atol=1e-10)
+    got = made.strengths(member)
+    assert np.allclose(got, want * member, rtol=1e-9, atol=0) and ((got > 0) == (want * member > 0)).all()
+    size = lambda x: x.stop - x.start if isinstance(x, slice) else len(x)
+    share = sum(size(i) * size(j) for i, j, _ in made.apart()) / (len(words) ** 2 / 2)
+    assert share < 0.75 or gamma > 0.1
+
+
 @pytest.mark.parametrize("name, beta", [("sem_beta0", 0.0), ("sem_beta1", 1.0)])
 def test_semantic_totals_of_one_corpus_make_no_pair_rows(spark, sf, monkeypatch, name, beta):
     words = queries.p1_words(spark, sf)
