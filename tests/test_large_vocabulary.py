@@ -5,7 +5,7 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from phasewarp.operators import frequency, popularity, signatures, similarity, wordrank
+from phasewarp.operators import alignment, frequency, popularity, signatures, similarity, wordrank
 from phasewarp.plans import queries
 
 SCHEMA = "event string, medium string, phase int, word string, freq long"
@@ -133,3 +133,11 @@ def test_signatures_draw_a_word_once_a_series(spark):
     assert {r[:3]: list(r.bits) for r in signatures.sign_projection(contrib).collect()} == want
     drawn_rows = signatures.sign_projection(contrib)._jdf.queryExecution().optimizedPlan().toString()
     assert "collect_list" in drawn_rows.split("Generate")[-1]  # the phases of a word lie below its numbers
+
+
+def test_packing_goes_through_the_words_once(spark):
+    contrib = spark.createDataFrame([("e", m, p, w) for m in "AB" for p in (1, 2) for w in ("one", "two")], "event string, medium string, phase int, word string")
+    series = contrib.select("event", "medium", "phase", F.lit(0.5).alias("pop_norm")).distinct()
+    packed = alignment.pack(series, contrib)
+    assert len(packed.first().va) == 2
+    assert "md5" not in packed._jdf.queryExecution().optimizedPlan().toString()  # one side would draw the numbers again
