@@ -1,5 +1,6 @@
 """Series of more words than the similarity matrix is held for."""
 
+import duckdb
 import numpy as np
 import pandas as pd
 import pytest
@@ -123,6 +124,44 @@ def test_semantic_totals_of_one_corpus_make_no_pair_rows(spark, sf, monkeypatch,
     assert got.keys() == want.keys() and all(np.allclose(got[k], want[k], rtol=1e-9, atol=1e-5) for k in want)
 
 
+@pytest.fixture(scope="module")
+def few_vectors(tmp_path_factory):
+    """The smallest documents beside few vectors, odd ones among them, with and without one that is no number."""
+    made = {}
+    for nan in (False, True):
+        to = tmp_path_factory.mktemp("few")
+        (to / "documents.parquet").symlink_to("/root/testdata/sf0.001/documents.parquet")
+        rng = np.random.default_rng(3)
+        vectors = [(k, rng.normal(size=8).astype("float32").tolist()) for k in range(23) if k != 5] + [(40, [1.0] * 8)]
+        vectors[7], vectors[9] = (vectors[7][0], None), (vectors[9][0], [0.0] * 8)
+        if nan:
+            vectors[11] = (vectors[11][0], [float("nan")] + [1.0] * 7)
+        con = duckdb.connect()
+        con.execute("CREATE TABLE e (vec_id BIGINT, embedding FLOAT[], label INT)")
+        con.executemany("INSERT INTO e VALUES (?, ?, 0)", vectors)
+        con.execute(f"COPY e TO '{to}/embeddings.parquet'")
+        made[nan] = str(to)
+    return made
+
+
+def as_its_sql(spark, sf_dir, name):
+    con = duckdb.connect()
+    for table in ("documents", "embeddings"):
+        con.execute(f"CREATE VIEW {table} AS SELECT * FROM '{sf_dir}/{table}.parquet'")
+    want = {r[:2]: r[2:] for r in con.execute(queries.SQL[name]).fetchall()}
+    got = {r[:2]: r[2:] for r in queries.QUERIES[name](spark, sf_dir).collect()}
+    assert got.keys() == want.keys() and all(np.allclose(got[k], want[k], rtol=0, atol=2e-5, equal_nan=True) for k in want)
+    return got
+
+
+def test_sem_beta0_sends_a_series_as_its_distinct_vectors(spark, few_vectors, monkeypatch):
+    sent = []
+    monkeypatch.setattr(similarity, "_totals", lambda words, *a, go=similarity._totals: (sent.append(words), go(words, *a))[1])
+    got = as_its_sql(spark, few_vectors[False], "sem_beta0")
+    assert sent[0].count() <= 23 * len(got) < sum(r.n_words for r in sent[0].collect())
+    assert np.isnan([v for r in as_its_sql(spark, few_vectors[True], "sem_beta0").values() for v in r]).any()
+
+
 def test_signatures_draw_a_word_once_a_series(spark):
     rows = [("e", m, p, w) for m in "AB" for p in range(1, 9) for w in ("one", "two", f"x{p}")]
     contrib = spark.createDataFrame(rows, "event string, medium string, phase int, word string")
