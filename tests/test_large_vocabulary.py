@@ -162,6 +162,11 @@ def test_sem_beta0_sends_a_series_as_its_distinct_vectors(spark, few_vectors, mo
     assert np.isnan([v for r in as_its_sql(spark, few_vectors[True], "sem_beta0").values() for v in r]).any()
 
 
+def test_sem_beta1_is_as_its_sql_over_odd_vectors(spark, few_vectors):
+    as_its_sql(spark, few_vectors[False], "sem_beta1")
+    assert np.isnan([v for r in as_its_sql(spark, few_vectors[True], "sem_beta1").values() for v in r]).any()
+
+
 def test_signatures_draw_a_word_once_a_series(spark):
     rows = [("e", m, p, w) for m in "AB" for p in range(1, 9) for w in ("one", "two", f"x{p}")]
     contrib = spark.createDataFrame(rows, "event string, medium string, phase int, word string")
